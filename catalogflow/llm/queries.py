@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from catalogflow.llm import language, mixing, neardup, packing
+from pyspark.sql import functions as F
+
+from catalogflow.llm import ctw, hilbert, hosts, imatch, language, mixing, neardup, packing, topk, warc
 from catalogflow.session import table
 
 MIX = {"src0": 4, "src1": 2}
@@ -25,7 +27,46 @@ def op9_pack_windows(spark, sf):
     return packing.pack(table(spark, sf, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op4_language_mixture, op5_mix_sources, op7_near_duplicates, op9_pack_windows)}
+#: example.com, .net and .org stand for public suffixes: what is one label below them is registered.
+SUFFIXES = ("example.com", "example.net", "example.org")
+
+
+def op1_warc_files(spark, sf):
+    return warc.write_warc(table(spark, sf, "pages"), warc.warc_path(spark))
+
+
+def op2_context_tree_weighting(spark, sf):
+    return ctw.code_lengths(table(spark, sf, "documents"))
+
+
+def op3_imatch_fingerprints(spark, sf):
+    return imatch.fingerprints(table(spark, sf, "documents"))
+
+
+def op6_host_reputation(spark, sf):
+    """A page's outcome is its document's label; the document's number is in the URL."""
+    pages = table(spark, sf, "pages")
+    labels = table(spark, sf, "labels").select(F.col("doc_id").alias("lab_doc"), F.expr("case when quality = 0 or toxic = 1 then 1 else 0 end").alias("bad"))
+    number = F.expr("try_cast(regexp_extract(url, '^[a-z]+://[^/]+/[a-z]+/([0-9]+)', 1) as bigint)")
+    outcomes = pages.select("page_id", number.alias("doc")).join(labels, F.col("doc") == F.col("lab_doc")).select("page_id", "bad")
+    return hosts.filter_urls(pages, outcomes, suffixes=SUFFIXES)
+
+
+def op8_exact_top_k(spark, sf):
+    return topk.top_k(table(spark, sf, "embeddings"))
+
+
+def op10_hilbert_shards(spark, sf):
+    return hilbert.assign(table(spark, sf, "documents"))
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_warc_files, op2_context_tree_weighting, op3_imatch_fingerprints, op4_language_mixture, op5_mix_sources,
+        op6_host_reputation, op7_near_duplicates, op8_exact_top_k, op9_pack_windows, op10_hilbert_shards,
+    )
+}
 
 WORDS = r"cast(coalesce(length(regexp_replace(text, '[^ \t\n\r]+', 'x', 'g')) - length(regexp_replace(text, '[^ \t\n\r]+', '', 'g')), 0) as bigint)"
 
