@@ -29,10 +29,18 @@ def sql_hash60(text: str) -> str:
     return f"('0x' || substr(md5({text}), 1, 15))::bigint"
 
 
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is computed once, however often and in whatever loop the body names it."""
+    return F.transform(F.array(value), body)[0]
+
+
 def shingles(words: Column, k: int = 5) -> Column:
     """Distinct runs of k words, joined by blanks; none for shorter texts."""
-    spots = F.when(F.size(words) >= k, F.sequence(F.lit(1), F.size(words) - (k - 1))).otherwise(F.array().cast("array<int>"))
-    return F.array_distinct(F.transform(spots, lambda i: F.array_join(F.slice(words, i, k), " ")))
+    def runs(w: Column) -> Column:
+        spots = F.when(F.size(w) >= k, F.sequence(F.lit(1), F.size(w) - (k - 1))).otherwise(F.array().cast("array<int>"))
+        return F.array_distinct(F.transform(spots, lambda i: F.array_join(F.slice(w, i, k), " ")))
+
+    return let(words, runs)
 
 
 def normalize_name(name: str | Column) -> Column:
