@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from catalogflow.plans import dedup, extraction, metadata, probe  # noqa: F401
+from catalogflow.plans import classify, dedup, extraction, metadata, probe  # noqa: F401
 from catalogflow.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]
