@@ -46,6 +46,8 @@ class Lists:
         while len(live) and at < n:
             to = min(n, at + step)
             up, down = (q[live] > 0).any(axis=0), (q[live] < 0).any(axis=0)
+            if (q[live] == 0).all(axis=1).any():  # every score of a zero query is 0: smaller ids may stand anywhere
+                up[:], to = True, n
             fresh = np.zeros(n, bool)
             fresh[self.order[n - to : n - at][:, up].ravel()] = True
             fresh[self.order[at:to][:, down].ravel()] = True
@@ -58,13 +60,7 @@ class Lists:
                 s[self.ids[new][None, :] == q_ids[live][:, None]] = -np.inf
                 own = np.broadcast_to(self.ids[new], s.shape)
                 top[live], who[live] = best(np.hstack([top[live], s]), np.hstack([who[live], own]), k)
-            if seen.all() or not (up.any() or down.any()):
-                if not seen.all():  # a zero query: every score is 0, so all rows are needed
-                    at, step, q, up = 0, n, q + 0.0, None
-                    rest = np.flatnonzero(~seen)
-                    s = np.round(q[live] @ self.x[rest].T, 9)
-                    s[self.ids[rest][None, :] == q_ids[live][:, None]] = -np.inf
-                    top[live], who[live] = best(np.hstack([top[live], s]), np.hstack([who[live], np.broadcast_to(self.ids[rest], s.shape)]), k)
+            if seen.all():
                 break
             bound = np.where(q[live] > 0, q[live] * self.value[n - to], q[live] * self.value[to - 1]).sum(axis=1)
             live = live[bound + 1e-9 >= top[live].min(axis=1)]
@@ -84,7 +80,8 @@ def top_k(vectors: DataFrame, k: int = 10, block_rows: int = 8192, group: int =
     dim, n = shape["d"], shape["count"]
     blocks = max(1, -(-n // block_rows))
     rows = rows.where(F.size("embedding") == dim).withColumn("own", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)))
-    others = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other")
+    # both sides' keys must be of one type, or equal keys would be hashed to different partitions
+    others = F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(blocks - 1).cast("bigint"))).alias("other")
     queries = rows.select(F.col("own").alias("qb"), others, "vec_id", "embedding").withColumnRenamed("other", "db")
     data = rows.select(F.col("own").alias("db"), others, "vec_id", "embedding").withColumnRenamed("other", "qb")
 
