@@ -60,31 +60,39 @@ def quantised_rank(df: DataFrame, column: str, bits: int, name: str) -> tuple[Da
     return spread.select(F.col(column).alias(f"{name}_value"), F.expr(f"cast(((r - 1) * {1 << bits}) div all as int)").alias(name))
 
 
-def assign(docs: DataFrame, bits: int = 5, target: int = 4_000_000) -> DataFrame:
-    """(doc_id, source, lang, n_chars, cell, shard): dimensions source, language and order of magnitude of the length.
+def placed(docs: DataFrame, bits: int, target: int) -> DataFrame:
+    """The columns of ``docs`` with hilbert_cell and hilbert_shard: broadcasts of small tables, no shuffle of the rows themselves.
 
-    source and lang are dimensions of few values, ranked by name; the tables of their values are broadcast.
+    source and lang are dimensions of few values, ranked by name; the tables of their values and of the cells, which are at most
+    2 ** (3 * bits), are broadcast.
     """
     top = (1 << bits) - 1
-    rows = docs.select("doc_id", "source", "lang", F.coalesce(F.col("n_chars"), F.lit(0)).cast("bigint").alias("n_chars"), F.expr(HASH).alias("h"))
-    src, lng = quantised_rank(rows, "source", bits, "d0"), quantised_rank(rows, "lang", bits, "d1")
-    rows = rows.join(F.broadcast(src), F.col("source") == F.col("d0_value"), "left").join(F.broadcast(lng), F.col("lang") == F.col("d1_value"), "left")
-    length = F.least(F.lit(top), F.expr(f"cast(floor(log2(1 + greatest(n_chars, 0)) * {(1 << bits) / 32}) as int)"))
-    rows = rows.select("doc_id", "source", "lang", "n_chars", "h", F.coalesce("d0", F.lit(0)).alias("d0"), F.coalesce("d1", F.lit(0)).alias("d1"), length.alias("d2"))
-    cells = rows.groupBy("d0", "d1", "d2").agg(F.sum("n_chars").alias("size"))
-    cells = cells.withColumn("cell", hilbert_index([F.col("d0"), F.col("d1"), F.col("d2")], bits))
-    cells = cells.withColumn("before", F.sum("size").over(Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)))
-    cells = cells.select("d0", "d1", "d2", "cell", F.coalesce("before", F.lit(0)).alias("before"), "size")
+    src, lng = quantised_rank(docs, "source", bits, "hb_0"), quantised_rank(docs, "lang", bits, "hb_1")
+    rows = docs.join(F.broadcast(src), F.col("source") == F.col("hb_0_value"), "left").join(F.broadcast(lng), F.col("lang") == F.col("hb_1_value"), "left")
+    length = F.least(F.lit(top), F.expr(f"cast(floor(log2(1 + greatest(coalesce(n_chars, 0), 0)) * {(1 << bits) / 32}) as int)"))
+    rows = rows.withColumns({"hb_0": F.coalesce("hb_0", F.lit(0)), "hb_1": F.coalesce("hb_1", F.lit(0)), "hb_2": length, "hb_h": F.expr(HASH)})
+    dims = ["hb_0", "hb_1", "hb_2"]
+    cells = rows.groupBy(*dims).agg(F.sum(F.coalesce("n_chars", F.lit(0))).cast("bigint").alias("hb_size"))
+    cells = cells.withColumn("hilbert_cell", hilbert_index([F.col(d) for d in dims], bits))
+    cells = cells.withColumn("hb_before", F.coalesce(F.sum("hb_size").over(Window.orderBy("hilbert_cell").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     # the hash places a document uniformly inside its cell's stretch of the running total
-    place = F.expr(f"cast((before + (cast(h as decimal(38,0)) * size) div {1 << 60}) div {target} as bigint)")
-    return rows.join(F.broadcast(cells), ["d0", "d1", "d2"]).select("doc_id", "source", "lang", "n_chars", "cell", place.alias("shard"))
+    shard = F.expr(f"cast((hb_before + (cast(hb_h as decimal(38,0)) * hb_size) div {1 << 60}) div {target} as bigint)")
+    return rows.join(F.broadcast(cells), dims).withColumn("hilbert_shard", shard).select(*docs.columns, "hilbert_cell", "hilbert_shard")
+
+
+def assign(docs: DataFrame, bits: int = 5, target: int = 4_000_000) -> DataFrame:
+    """(doc_id, source, lang, n_chars, cell, shard): dimensions source, language and order of magnitude of the length."""
+    slim = docs.select("doc_id", "source", "lang", F.coalesce(F.col("n_chars"), F.lit(0)).cast("bigint").alias("n_chars"))
+    return placed(slim, bits, target).withColumnsRenamed({"hilbert_cell": "cell", "hilbert_shard": "shard"})
+
 
+def write(docs: DataFrame, path: str, bits: int = 5, target: int = 4_000_000) -> DataFrame:
+    """Write whole documents as Parquet, one folder of sorted files per shard; returns (shard, rows, chars, least and most of each dimension).
 
-def write(docs: DataFrame, path: str, **options) -> DataFrame:
-    """Write whole documents as Parquet, one folder of sorted files per shard; returns (shard, rows, chars, least and most of each dimension)."""
-    where = assign(docs, **options).groupBy("doc_id").agg(F.min("cell").alias("hilbert_cell"), F.min("shard").alias("hilbert_shard"))
-    placed = docs.join(where, docs["doc_id"].eqNullSafe(where["doc_id"])).select(*[docs[c] for c in docs.columns], "hilbert_cell", "hilbert_shard")
-    placed.repartition("hilbert_shard").sortWithinPartitions("hilbert_shard", "hilbert_cell", "doc_id").write.partitionBy("hilbert_shard").parquet(path)
+    Texts are shuffled once, to their shards.
+    """
+    out = placed(docs, bits, target)
+    out.repartition("hilbert_shard").sortWithinPartitions("hilbert_shard", "hilbert_cell", "doc_id").write.partitionBy("hilbert_shard").parquet(path)
     stats = [f(c).alias(f"{n}_{c}") for c in ("source", "lang", "n_chars") for n, f in (("min", F.min), ("max", F.max))]
     back = docs.sparkSession.read.parquet(path)
     return back.groupBy(F.col("hilbert_shard").alias("shard")).agg(F.count("*").alias("rows"), F.sum("n_chars").alias("chars"), *stats)
