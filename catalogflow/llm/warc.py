@@ -21,7 +21,7 @@ import hashlib
 import uuid
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from catalogflow.llm import text as tx
@@ -61,17 +61,18 @@ def response(uri: str | None, html: str | None, date: str) -> tuple[bytes, str,
 
 
 def borders(keyed: DataFrame, shards: int, per_shard: int = 20) -> list[str]:
-    """Upper borders of all ranges but the last. About ``per_shard`` keys for each range come to the driver."""
+    """Upper borders of all ranges but the last, from about ``per_shard`` keys for each range; only the borders come to the driver."""
     if shards < 2:
         return []
     rows = keyed.count()
     share = min(1.0, shards * per_shard / max(1, rows))
     chosen = keyed.where(F.pmod(F.xxhash64("key"), F.lit(1 << 30)) < int(share * (1 << 30)))
-    keys = sorted(chosen.select("key").toPandas()["key"])
-    return sorted({keys[len(keys) * i // shards] for i in range(1, shards)}) if keys else []
+    ranked = chosen.select("key", F.row_number().over(Window.orderBy("key")).alias("r"), F.count("*").over(Window.partitionBy()).alias("n"))
+    cut = ranked.where(F.expr(f"(r - 1) * {shards} div n <> (r - 2) * {shards} div n and r > 1"))
+    return sorted(set(cut.select("key").toPandas()["key"]))
 
 
-def write_warc(pages: DataFrame, path: str, shard_bytes: int = 32_000_000, file_bytes: int = 4_000_000, date: str = "2000-01-01T00:00:00Z") -> DataFrame:
+def write_warc(pages: DataFrame, path: str, shard_bytes: int = 256_000_000, file_bytes: int = 64_000_000, date: str = "2000-01-01T00:00:00Z") -> DataFrame:
     """Write ``pages`` (page_id, url, html); returns the index (page_id, shard, file, offset, length, raw_bytes, digest).
 
     shard_bytes: html per range, which is one task's work; file_bytes: compressed size at which a file is closed.
@@ -126,7 +127,8 @@ def write_warc(pages: DataFrame, path: str, shard_bytes: int = 32_000_000, file_
                 out.close()
 
     records = keyed.mapInArrow(build, "shard int, key string, page_id bigint, digest string, raw_bytes bigint, member binary")
-    written = records.repartition("shard").sortWithinPartitions("shard", "key", "page_id", "digest").mapInArrow(store, INDEX)
+    # one partition for each range: hashing would put several ranges into one
+    written = records.repartitionById(len(edge.value) + 1, "shard").sortWithinPartitions("shard", "key", "page_id", "digest").mapInArrow(store, INDEX)
     manifest = staged(written, "warc-manifest")
     commit(manifest, path)
     return manifest.select("page_id", "shard", F.col("name").alias("file"), "offset", "length", "raw_bytes", "digest")
