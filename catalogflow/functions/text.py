@@ -35,10 +35,10 @@ def let(value: Column, body) -> Column:
 
 
 def shingles(words: Column, k: int = 5) -> Column:
-    """Distinct runs of k words, joined by blanks; none for shorter texts."""
+    """Distinct runs of k words as 64-bit hashes; none for shorter texts."""
     def runs(w: Column) -> Column:
         spots = F.when(F.size(w) >= k, F.sequence(F.lit(1), F.size(w) - (k - 1))).otherwise(F.array().cast("array<int>"))
-        return F.array_distinct(F.transform(spots, lambda i: F.array_join(F.slice(w, i, k), " ")))
+        return F.array_distinct(F.transform(spots, lambda i: F.xxhash64(F.slice(w, i, k))))
 
     return let(words, runs)
 

@@ -23,10 +23,11 @@ BUDGET = 15_000
 
 def expert_scores(docs: DataFrame, keep: list[str] = ()) -> DataFrame:
     """(doc_id, domain, label, score 1..5): one expert for each domain scores all of its labels. One scan, no shuffle."""
-    d = language_votes(docs)
+    d = language_votes(docs, keep_tokens=True)
     own = ABUSE.split()
-    d = d.withColumn("insults", F.size(F.filter(tokens(), lambda t: t.isin(*own))))
-    symbols = F.expr("length(regexp_replace(text, '[A-Za-zÀ-ÿ \\n.,]', '')) / cast(greatest(length(text), 1) as double)")
+    d = d.withColumn("insults", F.size(F.filter("tok_", lambda t: t.isin(*own))))
+    d = d.withColumn("sym_", F.expr("length(regexp_replace(text, '[A-Za-zÀ-ÿ \\n.,]+', '')) / cast(greatest(length(text), 1) as double)"))
+    symbols = F.col("sym_")
     d = d.withColumn("noisy", F.when(symbols <= 0.005, 1).when(symbols <= 0.01, 2).when(symbols <= 0.02, 3).when(symbols <= 0.05, 4).otherwise(5))
     d = d.withColumn("abusive", F.when(F.col("insults") == 0, 1).when(F.col("insults") == 1, 4).otherwise(5))
     total = sum((F.col(f"v_{x}") for x in VOTES), F.lit(0))

@@ -144,7 +144,7 @@ def exact_duplicates(docs: DataFrame) -> DataFrame:
 
 def shingle_rows(docs: DataFrame, k: int = 5) -> DataFrame:
     """(doc_id, n, s): hashed distinct shingles of each document and their number."""
-    return docs.select("doc_id", shingles(tokens(), k).alias("sh")).select("doc_id", F.size("sh").alias("n"), F.explode("sh").alias("s")).withColumn("s", F.xxhash64("s"))
+    return docs.select("doc_id", shingles(tokens(), k).alias("sh")).select("doc_id", F.size("sh").alias("n"), F.explode("sh").alias("s"))
 
 
 def near_text_pairs(docs: DataFrame, threshold: float = 0.7, k: int = 5) -> DataFrame:

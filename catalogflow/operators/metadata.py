@@ -75,7 +75,7 @@ def translate_text(items: DataFrame, lexicon: dict[str, str], src: str = "es") -
     return items.withColumn("translated", F.when(own, new).otherwise(F.col("text"))).withColumn("replaced", F.when(own, hits).otherwise(0))
 
 
-def language_votes(docs: DataFrame) -> DataFrame:
+def language_votes(docs: DataFrame, keep_tokens: bool = False) -> DataFrame:
     """Adds v_<lang> (tokens among ten frequent words each), pred (ties: alphabetical; none without votes)."""
     out = docs.withColumn("tok_", tokens())
     for lang, words in VOTES.items():
@@ -86,4 +86,5 @@ def language_votes(docs: DataFrame) -> DataFrame:
     pred = F.when(most == 0, F.lit(None).cast("string"))
     for x in order:
         pred = pred.when(F.col(f"v_{x}") == most, F.lit(x))
-    return out.withColumn("pred", pred).withColumn("votes", most).drop("tok_")
+    out = out.withColumn("pred", pred).withColumn("votes", most)
+    return out if keep_tokens else out.drop("tok_")

@@ -124,15 +124,15 @@ def grade_needle(answers: DataFrame) -> DataFrame:
 def find_passages(docs: DataFrame, bench: DataFrame, k: int = 5) -> DataFrame:
     """(doc_id, item_id, pos, quartile) of passages that stand in documents word for word.
 
-    Candidates share the passage's first k words (or all, if fewer): the passages' seeds are a small table, which is broadcast by its size
-    as Spark sees it; documents aren't shuffled. Verified with a substring search.
+    Candidates share the passage's first k words. Hashes of word runs, without texts, meet the passages' seeds; only documents with a
+    hit are read again for the substring search. Passages shorter than k words are compared directly with every document.
     """
     p = bench.select("item_id", F.col("text").alias("passage"), tokens().alias("w"))
-    p = p.select("item_id", "passage", F.when(F.size("w") >= k, F.array_join(F.slice("w", 1, k), " ")).alias("seed")).where("passage <> ''")
-    d = docs.select("doc_id", "text", shingles(tokens(), k).alias("sh"))
-    near = d.select("doc_id", "text", F.explode("sh").alias("seed")).join(p.where("seed is not null"), "seed")
-    # a passage may start or end inside a word: those shorter than k words are compared directly
-    short = d.select("doc_id", "text").crossJoin(F.broadcast(p.where("seed is null")))
+    p = p.select("item_id", "passage", F.when(F.size("w") >= k, F.xxhash64(F.slice("w", 1, k))).alias("seed")).where("passage <> ''")
+    runs = docs.select("doc_id", F.explode(shingles(tokens(), k)).alias("seed"))
+    near = runs.join(p.where("seed is not null").select("item_id", "seed"), "seed").select("doc_id", "item_id").distinct()
+    near = near.join(p.select("item_id", "passage"), "item_id").join(docs.select("doc_id", "text"), "doc_id")
+    short = docs.select("doc_id", "text").crossJoin(F.broadcast(p.where("seed is null")))
     both = near.select("doc_id", "text", "item_id", "passage").union(short.select("doc_id", "text", "item_id", "passage"))
     pos = F.instr("text", F.col("passage"))
     return both.withColumn("pos", pos).where("pos > 0").select("doc_id", "item_id", "pos", F.expr("cast(least(4, 1 + (4 * (pos - 1)) div length(text)) as int)").alias("quartile"))
