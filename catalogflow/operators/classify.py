@@ -211,3 +211,24 @@ def train_classifier(docs: DataFrame, label: str, algo: str, features: int = 1 <
 def dataset_items(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """(doc_id, catalog_id) of labelled tool items."""
     return docs.select("doc_id", F.expr(CATALOG).alias("catalog_id")).where("catalog_id < 4").join(labels.select("doc_id"), "doc_id", "left_semi")
+
+
+def learn_lexicon(docs: DataFrame, gold: DataFrame, domain: str, top: int = 20) -> DataFrame:
+    """(label, token, weight): the ``top`` tokens per label by log odds of document frequency in the training items."""
+    g = gold.where(F.col("domain") == domain).select("doc_id", "label")
+    n = g.groupBy("label").agg(F.count("*").alias("n"))
+    t = docs.select("doc_id", F.explode(F.array_distinct(tokens())).alias("token")).join(g, "doc_id").groupBy("label", "token").agg(F.count("*").alias("df"))
+    every = t.groupBy("token").agg(F.sum("df").alias("all_df"))
+    total = n.agg(F.sum("n").alias("all_n"))
+    odds = t.join(every, "token").join(F.broadcast(n), "label").crossJoin(F.broadcast(total))
+    odds = odds.withColumn("weight", F.round(F.ln(F.expr("(df + 0.5) / (n + 1)")) - F.ln(F.expr("(all_df - df + 0.5) / (all_n - n + 1)")), 6)).where("df >= 2")
+    w = Window.partitionBy("label").orderBy(F.desc("weight"), "token")
+    return odds.withColumn("r", F.row_number().over(w)).where(F.col("r") <= top).select("label", "token", "weight")
+
+
+def lexicon_labels(docs: DataFrame, lexicon: DataFrame, prior: DataFrame) -> DataFrame:
+    """(doc_id, label): the label with most weight among a document's tokens; without any token, the prior's label (one row)."""
+    t = docs.select("doc_id", F.explode(F.array_distinct(tokens())).alias("token")).join(F.broadcast(lexicon), "token")
+    s = t.groupBy("doc_id", "label").agg(F.round(F.sum("weight"), 6).alias("w"))
+    best = s.groupBy("doc_id").agg(F.max(F.struct("w", "label"))["label"].alias("found"))
+    return docs.select("doc_id").crossJoin(F.broadcast(prior)).join(best, "doc_id", "left").select("doc_id", F.coalesce("found", "prior").alias("label"))

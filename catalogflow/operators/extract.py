@@ -201,3 +201,15 @@ def decode_codes(files: DataFrame, decoder=None) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array([p for p, _ in pairs], pa.string()), pa.array([x for _, x in pairs], pa.string())], ["path", "payload"])
 
     return files.select("path", "content").mapInArrow(run, "path string, payload string")
+
+
+def run_extraction(docs: DataFrame, nation: DataFrame, region: DataFrame) -> DataFrame:
+    """One row per item: catalogue, name, description, contacts by kind and the region that a landline's prefix tells.
+
+    Texts stay in the map side; only contacts are grouped.
+    """
+    contacts = extract_contacts(docs)
+    kinds = contacts.groupBy("doc_id").pivot("kind", ["email", "ip", "phone", "url"]).agg(F.array_sort(F.collect_set("value")))
+    where = locate_by_prefix(contacts, nation, region).where("resolved").groupBy("doc_id").agg(F.min("region").alias("region"))
+    items = text_elements(with_catalog(docs)).select("doc_id", "catalog_id", "kind", "name", "description", "lang")
+    return items.join(kinds, "doc_id", "left").join(where, "doc_id", "left")

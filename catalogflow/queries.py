@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from catalogflow.plans import answers, classify, dedup, extraction, metadata, portal, probe, surface  # noqa: F401
+from catalogflow.plans import answers, classify, dedup, extraction, metadata, portal, probe, surface, variants  # noqa: F401
 from catalogflow.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]
