@@ -1,13 +1,13 @@
 """Operator 4: languages of each document and their proportions, by expectation-maximisation.
 
-Model: byte trigrams inside words (word ends count as a blank), hashed to ``buckets``; their relative
+Model: byte trigrams inside words without digits (word ends count as a blank), hashed to ``buckets``; their relative
 frequencies per language are counted over all rows with a label. A word's likelihood in a language is the
 product over its trigrams; a document is a mixture of languages and of an "other" component that is uniform
 over trigrams. EM estimates the mixture; among the nested sets of the largest languages the one with the
 best likelihood less ``penalty * |set| * log(1 + words)`` is taken. When even all languages together do not
 pay for a second one, the single language is the exact optimum and the smaller sets are not fitted.
 
-Defined cases: null or empty text, or text without letters and digits: no words, ``li_pred`` null,
+Defined cases: null or empty text, or text without words of letters: no words, ``li_pred`` null,
 ``li_rejected`` true. Null ``doc_id`` or repeated rows: one output row per input row. Rows without a label
 (null) don't train. No labelled row at all: every row is rejected. Ties go to the first language in
 alphabetical order. Columns other than doc_id, text and the label aren't read.
@@ -29,6 +29,9 @@ RESULT = "li_pred string, li_langs string, li_share double, li_other double, li_
 def trigrams(texts: pa.Array, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(bucket of each byte of a word, where each word begins among them, document of each word)."""
     doc, _, start, end, low = tx.words(texts)
+    digits = np.concatenate([[0], np.cumsum((low >= 48) & (low <= 57))])
+    plain = digits[end] == digits[start]
+    doc, start, end = doc[plain], start[plain], end[plain]
     if not len(start):
         return np.zeros(0, np.int64), start, doc
     size = end - start
@@ -97,7 +100,7 @@ def mixture(like: list[np.ndarray], first: np.ndarray, size: np.ndarray, allowed
     return share, np.add.reduceat(np.log(total), first)
 
 
-def infer(texts: pa.Array, names: list[str], table: np.ndarray, rounds: int = 12, penalty: float = 1.0, max_other: float = 0.5) -> dict[str, list]:
+def infer(texts: pa.Array, names: list[str], table: np.ndarray, rounds: int = 12, penalty: float = 1.0, max_other: float = 0.8) -> dict[str, list]:
     """The columns of RESULT for the texts."""
     n_docs, n_lang, buckets = len(texts), len(names), table.shape[1]
     pred: list = [None] * n_docs
