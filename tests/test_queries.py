@@ -1,8 +1,11 @@
 """Every registered query runs on the smallest tables and equals its SQL twin there."""
 
 import os
+from decimal import Decimal
 
 import duckdb
+import numpy as np
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -20,9 +23,11 @@ def duck():
 
 
 def shown(x):
-    if x is None or x != x:
+    if isinstance(x, (list, dict)) or hasattr(x, "__len__"):
+        return str(x)
+    if pd.isna(x):
         return None
-    return round(float(x), 5) if isinstance(x, float) or type(x).__name__ == "Decimal" else str(x)
+    return round(float(x), 5) if isinstance(x, (int, float, Decimal, np.number)) and not isinstance(x, bool) else str(x)
 
 
 def table_of(df):
