@@ -6,9 +6,10 @@ soon as its next arrival is later than all registers' (nothing later can matter)
 estimates probability Jaccard. ``bands`` bands of ``rows`` registers make buckets.
 
 Pairs: exact copies are collapsed first by a digest of the text, so that a group of any size costs one member. Within a
-bucket each member is compared with the bucket's smallest id; those that fail are compared with each other, all pairs,
-so no partner is capped. Every pair is verified by exact probability Jaccard on the texts. Groups are the connected
-components of the verified pairs.
+bucket each member is compared with the bucket's smallest id; those that fail are compared with all other members of the
+bucket, whether these failed or passed, but for pairs that the first comparisons of any bucket have already put in one group.
+So no partner is capped and each pair of a bucket is verified or in one group. Every pair is verified by exact probability
+Jaccard on the texts. Groups are the connected components of the verified pairs.
 
 Defined cases: null or empty texts, or texts without letters and digits, resemble nothing but are copies of the same
 text (null apart from empty); shorter texts than ``k`` words are one shingle. Rows without ``doc_id`` stay alone
@@ -141,7 +142,7 @@ def _verify(pairs: DataFrame, docs: DataFrame, k: int, threshold: float, small:
 
 
 def near_pairs(light: DataFrame, docs: DataFrame, k: int, threshold: float, small: int) -> DataFrame:
-    """Verified pairs (a, b, score) among representatives; light: (doc_id, bands)."""
+    """Verified pairs (a, b, score) among representatives, enough to connect each group; light: (doc_id, bands)."""
     spark = docs.sparkSession
     bucket = Window.partitionBy("band", "h")
     rows = (
@@ -151,9 +152,17 @@ def near_pairs(light: DataFrame, docs: DataFrame, k: int, threshold: float, smal
     rows = staged(rows, "nd-buckets")
     stars = rows.select("a", "b").distinct()
     first = staged(_verify(stars, docs, k, threshold, small), "nd-first")
-    failed = rows.join(first, ["a", "b"], "left_anti").select("band", "h", "b").distinct()
+    linked = connected_groups(first).withColumnRenamed("id", "b")
+    members = (
+        rows.join(first.select("a", "b", F.lit(True).alias("ok")), ["a", "b"], "left").join(linked, "b", "left")
+        .select("band", "h", "b", F.coalesce("group_id", "b").alias("g"), F.col("ok").isNull().alias("failed"))
+    )
+    members = staged(members, "nd-members")
+    failed = members.where("failed").select("band", "h", F.col("b").alias("c"), F.col("g").alias("cg"))
+    # failed with failed once, failed with passed always; never two that are in one group already
     others = (
-        failed.select("band", "h", F.col("b").alias("a")).join(failed, ["band", "h"]).where("a < b").select("a", "b").distinct()
+        failed.join(members, ["band", "h"]).where("cg <> g and (not failed or c < b)")
+        .select(F.least("b", "c").alias("a"), F.greatest("b", "c").alias("b")).distinct()
         .join(stars, ["a", "b"], "left_anti")
     )
     others = staged(others, "nd-rest")

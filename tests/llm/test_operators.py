@@ -318,6 +318,27 @@ def test_near_duplicates_against_brute_force(spark):
         assert find(i) == find(g)
 
 
+def test_near_duplicates_through_a_member_that_passed(spark):
+    """1 and 2 pass, 1 and 3 don't, 2 and 3 do, all in one bucket and no other; then families whose original has the largest id."""
+    def edited(words, share, tag):
+        return " ".join(f"{tag}{i}" if i % share == hash_of(tag) % share else w for i, w in enumerate(words))
+
+    hash_of = lambda t: int(hashlib.md5(t.encode()).hexdigest()[:8], 16)
+    hub = [f"w{i}" for i in range(400)]
+    texts = {1: edited(hub, 11, "ax"), 2: " ".join(hub), 3: edited(hub, 11, "bx")}
+    s = {i: sets(t) for i, t in texts.items()}
+    assert brute_jp(s[1], s[2]) >= 0.5 and brute_jp(s[2], s[3]) >= 0.5 and brute_jp(s[1], s[3]) < 0.5
+    docs = spark.createDataFrame([(i, t) for i, t in texts.items()], "doc_id bigint, text string")
+    light = spark.createDataFrame([(i, [7]) for i in texts], "doc_id bigint, bands array<bigint>")
+    assert {(r["a"], r["b"]) for r in rows(neardup.near_pairs(light, docs, 3, 0.5, 0))} == {(1, 2), (2, 3)}
+    data = []
+    for f in range(30):
+        words = [f"f{f}w{i}" for i in range(400)]
+        data += [(f * 10 + c, edited(words, 11, f"f{f}c{c}x")) for c in range(6)] + [(f * 10 + 9, " ".join(words))]
+    group = {r["doc_id"]: r["group_id"] for r in rows(neardup.near_duplicate_groups(spark.createDataFrame(data, "doc_id bigint, text string")))}
+    assert all(g // 10 == i // 10 for i, g in group.items()) and sum(g == group[i // 10 * 10 + 9] for i, g in group.items()) >= 0.97 * len(group)
+
+
 def test_near_duplicates_odd_cases(spark):
     base = " ".join(f"tok{i}" for i in range(200))
     other = base.replace("tok7 ", "new7 ")
