@@ -35,7 +35,12 @@ def light_rows(docs: DataFrame, tokens: Column | None = None) -> DataFrame:
 
 
 def budgets(light: DataFrame, weights: dict[str, int], default_weight: int, percents: list[int], temperature: float | None = None) -> DataFrame:
-    """(source, level, budget): whole numbers; the total is the largest that no source falls short of."""
+    """(source, level, budget): whole numbers.
+
+    For given weights they are met exactly: the total is the largest that no source falls short of. By ``temperature`` the total is that
+    of the whole corpus, shared out by weight; a source that falls short of its share gives all that it has, so that a tiny one
+    changes no other's budget by more than its own part of the corpus.
+    """
     have = light.groupBy("source").agg(F.sum("tokens").alias("have"))
     if temperature is not None:
         have = have.withColumn("w", F.greatest(F.lit(1), F.round(F.pow(F.col("have").cast("double"), F.lit(temperature)))).cast("bigint"))
@@ -44,11 +49,16 @@ def budgets(light: DataFrame, weights: dict[str, int], default_weight: int, perc
         have = have.withColumn("w", F.coalesce(F.try_element_at(pick, F.col("source")), F.lit(default_weight)).cast("bigint"))
     else:
         have = have.withColumn("w", F.lit(default_weight).cast("bigint"))
-    unit = have.where("w > 0 and have > 0").agg(F.min(F.expr("(have * 1000000) div w")).alias("unit"))
+    some = have.where("w > 0 and have > 0")
+    if temperature is None:
+        unit = some.agg(F.min(F.expr("(have * 1000000) div w")).alias("unit"))
+    else:
+        unit = some.agg(F.expr("cast((cast(sum(have) as decimal(32,0)) * 1000000) div sum(w) as bigint)").alias("unit"))
+    share = "cast(unit as decimal(38,0)) * w" if temperature is None else "least(cast(unit as decimal(38,0)) * w, cast(have as decimal(38,0)) * 1000000)"
     levels = F.explode(F.array(*[F.struct(F.lit(i + 1).alias("level"), F.lit(p).cast("bigint").alias("p")) for i, p in enumerate(sorted(percents))])).alias("x")
     return (
-        have.crossJoin(unit).select("source", "w", "unit", levels)
-        .select("source", F.col("x.level").alias("level"), F.expr("cast((cast(unit as decimal(38,0)) * w * x.p) div 100000000 as bigint)").alias("budget"))
+        have.crossJoin(unit).select("source", "w", "have", "unit", levels)
+        .select("source", F.col("x.level").alias("level"), F.expr(f"cast(({share}) * x.p div 100000000 as bigint)").alias("budget"))
     )
 
 

@@ -21,7 +21,7 @@ def deduplicated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sources at weights that grow with the 0.9th power of their tokens: a hot source is damped a little."""
+    """Sources at weights that grow with the 0.9th power of their tokens: a hot source is damped a little, a small one is kept whole."""
     return mixing.mix_documents(docs, temperature=0.9)
 
 

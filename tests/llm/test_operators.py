@@ -269,6 +269,18 @@ def test_hosts_shrink_and_filter(spark):
 # 7
 
 
+def test_a_tiny_source_does_not_set_the_budgets(spark):
+    data = [(i, "hot", "w " * 50) for i in range(1800)] + [(9000 + i, "warm", "w " * 50) for i in range(200)] + [(9900, None, "w"), (9901, "void", None)]
+    df = spark.createDataFrame(data, "doc_id bigint, source string, text string")
+    kept = Counter(r["source"] for r in rows(mixing.mix_documents(df, temperature=0.9)))
+    have = {"hot": 90_000, "warm": 10_000, None: 1, "void": 0}
+    target = sum(have.values()) * 90_000**0.9 / sum(max(1, h**0.9) for h in have.values() if h)
+    assert kept["warm"] == 200 and kept[None] == kept["void"] == 1
+    assert target - 100 < kept["hot"] * 50 <= target + 1 < 90_000
+    levels = Counter((r["source"], r["level"]) for r in rows(mixing.mix_levels(df, percents=[50, 100], temperature=0.9)))
+    assert 98 <= levels["warm", 1] <= 100 and levels["warm", 1] + levels["warm", 2] == 200
+
+
 def sets(text, k=3):
     w = re.findall(r"[^\W_]+", text.lower())
     return Counter(tuple(w[i : i + k]) for i in range(len(w) - k + 1)) if len(w) >= k else Counter([tuple(w)] if w else [])
