@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from catalogflow.functions.text import CATALOG, normalize_name
+from catalogflow.session import staged
 
 PHONE = r"\+1 \([0-9]{3}\) [0-9]{3}-[0-9]{4}"
 EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+"
@@ -132,34 +133,79 @@ def augment(icons: DataFrame, factor: int = 3, seed: str = "s1") -> DataFrame:
 def classify_icons(icons: DataFrame, glossary: DataFrame, ids: list[str], limit: int = 500_000, skip_same: bool = False) -> DataFrame:
     """Nearest glossary icon by cosine: ``ids`` columns and (pred_id, pred_label, sim).
 
-    The glossary of a catalogue is small; its rows are counted and a larger one is refused. Ties go to the smaller id.
+    The glossary's rows are counted: up to ``limit`` it is broadcast; a larger one is compared in shuffled blocks. Ties go to the smaller id.
     """
-    rows = glossary.count()
+    as_double = F.transform("embedding", lambda x: x.cast("double"))
+    g = glossary.select("vec_id", "label", as_double.alias("e"))
+    rows = g.count()
     if rows > limit:
-        raise ValueError(f"the glossary has {rows} icons, more than {limit}")
-    g = glossary.select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("e")).orderBy("vec_id").toPandas()
-    base = np.array(g["e"].tolist(), dtype=float).reshape(len(g), -1)
-    base = base / np.maximum(np.linalg.norm(base, axis=1, keepdims=True), 1e-30)
-    shared = icons.sparkSession.sparkContext.broadcast((g["vec_id"].to_numpy(), g["label"].to_numpy(), base))
+        return _classify_in_blocks(icons, g, rows, ids, skip_same)
+    names, labels, base = _unit(g.orderBy("vec_id").toArrow())
+    shared = icons.sparkSession.sparkContext.broadcast((names, labels, base))
 
     def run(batches):
         names, labels, x = shared.value
+        step = max(1, min(1024, (1 << 22) // max(1, len(x))))  # scores of 32 MB at most
         for whole in batches:
-            for i in range(0, whole.num_rows, 1024):
-                part = whole.slice(i, 1024)
+            for i in range(0, whole.num_rows, step):
+                part = whole.slice(i, step)
                 v = np.array(part.column("embedding").to_pylist(), dtype=float).reshape(part.num_rows, -1)
-                s = np.round(v @ x.T / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-30), 9)
-                if skip_same:
-                    s[part.column("vec_id").to_numpy()[:, None] == names[None, :]] = -2
-                top = s.argmax(axis=1)
-                yield pa.RecordBatch.from_arrays([*[part.column(c) for c in ids], pa.array(names[top], pa.int64()), pa.array(labels[top], pa.int32()), pa.array(s[np.arange(len(top)), top])], [*ids, "pred_id", "pred_label", "sim"])
+                top, sim = _nearest(part.column("vec_id").to_numpy() if skip_same else None, v, names, x)
+                yield pa.RecordBatch.from_arrays([*[part.column(c) for c in ids], pa.array(names[top], pa.int64()), pa.array(labels[top], pa.int32()), pa.array(sim)], [*ids, "pred_id", "pred_label", "sim"])
 
     cols = list(dict.fromkeys([*ids, "vec_id", "embedding"]))
-    src = icons.withColumn("embedding", F.transform("embedding", lambda x: x.cast("double"))).select(*cols)
+    src = icons.withColumn("embedding", as_double).select(*cols)
     fields = ", ".join(f"{c} {src.schema[c].dataType.simpleString()}" for c in ids)
     return src.mapInArrow(run, f"{fields}, pred_id bigint, pred_label int, sim double")
 
 
+def _unit(glossary: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ids, labels and vectors of length 1, by id."""
+    names = glossary.column("vec_id").to_numpy()
+    order = np.argsort(names, kind="stable")
+    base = glossary.column("e").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(names), -1)[order]
+    base /= np.maximum(np.linalg.norm(base, axis=1, keepdims=True), 1e-30)
+    return names[order], glossary.column("label").to_numpy()[order], base
+
+
+def _nearest(own: np.ndarray | None, v: np.ndarray, names: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Place and cosine of the nearest row of ``x`` for each row of ``v``; rows named like ``own`` come last."""
+    s = np.round(v @ x.T / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-30), 9)
+    if own is not None:
+        s[own[:, None] == names[None, :]] = -2
+    top = s.argmax(axis=1)
+    return top, s[np.arange(len(top)), top]
+
+
+def _classify_in_blocks(icons: DataFrame, glossary: DataFrame, rows: int, ids: list[str], skip_same: bool, block_rows: int = 32_768) -> DataFrame:
+    """``classify_icons`` for a glossary of any size: each pair of an icon block and a glossary block is one task."""
+    vector = F.transform("embedding", lambda x: x.cast("double"))
+    src = staged(icons.withColumn("embedding", vector).withColumn("row_", F.monotonically_increasing_id()), "icons")
+    count = src.count()
+    # keys of both sides are of one type, or equal keys would be hashed to different partitions
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(max(1, -(-n // block_rows)) - 1).cast("bigint")))
+    own = lambda c, n: F.pmod(F.xxhash64(c), F.lit(max(1, -(-n // block_rows))).cast("bigint"))
+    left = src.select(own("row_", count).alias("qb"), every(rows).alias("gb"), "row_", "vec_id", "embedding")
+    right = glossary.select(own("vec_id", rows).alias("gb"), every(count).alias("qb"), "vec_id", "label", "e")
+
+    def compare(a: pa.Table, b: pa.Table) -> pa.Table:
+        out = []
+        if a.num_rows and b.num_rows:
+            names, labels, x = _unit(b)
+            step = max(1, (1 << 22) // len(x))
+            for i in range(0, a.num_rows, step):
+                part = a.slice(i, step).combine_chunks()
+                v = part.column("embedding").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(part.num_rows, -1)
+                top, sim = _nearest(part.column("vec_id").to_numpy() if skip_same else None, v, names, x)
+                out.append((part.column("row_").to_numpy(), names[top], labels[top], sim))
+        cols = [np.concatenate(c) for c in zip(*out)] if out else [[], [], [], []]
+        return pa.table([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.float64()))], ["row_", "pred_id", "pred_label", "sim"])
+
+    hits = left.groupBy("qb", "gb").cogroup(right.groupBy("qb", "gb")).applyInArrow(compare, "row_ bigint, pred_id bigint, pred_label int, sim double")
+    best = hits.groupBy("row_").agg(F.max_by(F.struct("pred_id", "pred_label", "sim"), F.struct("sim", -F.col("pred_id"))).alias("x"))
+    return src.select("row_", *ids).join(best, "row_").select(*ids, "x.*")
+
+
 def icon_centroids(icons: DataFrame) -> DataFrame:
     each = icons.select("label", F.posexplode(F.transform("embedding", lambda x: x.cast("double"))).alias("i", "x"))
     mean = each.groupBy("label", "i").agg(F.avg("x").alias("x"))

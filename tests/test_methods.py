@@ -281,3 +281,14 @@ def test_plans_have_no_cartesian_product_and_prune(spark, sf):
         assert "CartesianProduct" not in plan_of(QUERIES[name](spark, sf)), name
     p = plan_of(QUERIES["op_filter_predicates"](spark, sf))
     assert "GreaterThanOrEqual(n_chars,500)" in p and "source" not in p.split("ReadSchema")[1].split("\n")[0]
+
+
+def test_icons_beyond_the_broadcast_bound(spark, sf):
+    """A glossary larger than the limit gives the rows that a broadcast one gives."""
+    icons = spark.read.parquet(f"{sf}/embeddings.parquet")
+    for skip in (False, True):
+        some, many = (sorted(map(str, X.classify_icons(icons.union(icons.limit(3)), icons, ["vec_id", "label"], limit, skip).collect())) for limit in (500_000, 10))
+        assert some == many and len(some) == icons.count() + 3
+    small = X._classify_in_blocks(icons, icons.select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e")), icons.count(), ["vec_id"], True, block_rows=32)
+    want = X.classify_icons(icons, icons, ["vec_id"], skip_same=True)
+    assert sorted(map(str, small.collect())) == sorted(map(str, want.collect()))
