@@ -167,6 +167,32 @@ def condense(docs: DataFrame, max_chars: int) -> DataFrame:
     return cut.union(docs.where(F.length("text") <= max_chars).select("doc_id", "text"))
 
 
+def condense_whole(docs: DataFrame, max_chars: int) -> DataFrame:
+    """(doc_id, text, cut) for every row: ``condense`` that passes over sentences that don't fit and goes on with later ones.
+
+    Where none fits, the best one is cut at a word border (inside the word, if it is longer than the budget) and ``cut`` is true.
+    Null texts stay null; a longer text of nothing but full stops and blanks becomes ''. No shuffle.
+    """
+    s = F.transform(F.split("text", "[.]"), lambda s, i: F.struct((-F.size(F.filter(tokens(s), lambda t: F.length(t) > 4))).alias("w"), i.alias("i"), s.alias("s")))
+    ranked = F.array_sort(F.filter(s, lambda x: F.trim(x["s"]) != ""))
+    start = F.struct(F.lit(0).alias("used"), F.array().cast("array<struct<i:int,s:string>>").alias("out"))
+
+    def step(acc, x):
+        room = acc["used"] + F.length(x["s"]) + 1
+        more = F.concat(acc["out"], F.array(F.struct(x["i"].alias("i"), x["s"].alias("s"))))
+        return F.when(room <= max_chars, F.struct(room.alias("used"), more.alias("out"))).otherwise(acc)
+
+    kept = F.aggregate("ranked", start, step, lambda a: F.transform(F.array_sort(a["out"]), lambda x: x["s"]))
+    best = F.trim(F.get("ranked", F.lit(0))["s"])
+    word = F.regexp_extract(F.substring(best, 1, max_chars + 1), r"(?s)^(.*)\s", 1)
+    short = F.when(F.length(best) <= max_chars, best).when(word != "", word).otherwise(F.substring(best, 1, max_chars))
+    long = docs.where(F.length("text") > max_chars).select("doc_id", ranked.alias("ranked")).select("doc_id", "ranked", kept.alias("kept"))
+    none = F.size("kept") == 0
+    text = F.when(F.size("ranked") == 0, F.lit("")).when(none, short).otherwise(F.array_join("kept", "."))
+    cut = long.select("doc_id", text.alias("text"), (none & (F.size("ranked") > 0)).alias("cut"))
+    return cut.union(docs.where(F.coalesce(F.length("text"), F.lit(0)) <= max_chars).select("doc_id", "text", F.lit(False)))
+
+
 def context_leakage(conv: DataFrame, n: int = 3) -> DataFrame:
     """(conv_id, turn, own, prior, leaked): word runs that an answer shares with its question, and with earlier ones of the talk only."""
     from catalogflow.functions.text import shingles

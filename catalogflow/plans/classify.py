@@ -144,6 +144,11 @@ def condense_text(spark, sf):
     return C.condense(_docs(spark, sf), C.BUDGET).select("doc_id", F.length("text").cast("bigint").alias("chars"), F.md5("text").alias("digest"))
 
 
+@query()
+def condense_text_whole(spark, sf):
+    return C.condense_whole(_docs(spark, sf), C.BUDGET).select("doc_id", F.length("text").cast("bigint").alias("chars"), F.md5("text").alias("digest"), "cut")
+
+
 _TEXT = "\n".join(f"[{d}] " + " / ".join(f"{x}: {C.DEFINITIONS.get(x, x)}" for x in ls) for d, ls in C.TX1.items())
 
 

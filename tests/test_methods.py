@@ -292,3 +292,16 @@ def test_icons_beyond_the_broadcast_bound(spark, sf):
     small = X._classify_in_blocks(icons, icons.select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e")), icons.count(), ["vec_id"], True, block_rows=32)
     want = X.classify_icons(icons, icons, ["vec_id"], skip_same=True)
     assert sorted(map(str, small.collect())) == sorted(map(str, want.collect()))
+
+
+def test_condense_loses_no_document(spark):
+    """A best sentence longer than the budget is passed over; where none fits it is cut at a word border; nulls stay."""
+    long = "longest words " * 5
+    data = [(1, f"{long}.small one. tiny"), (2, long), (3, None), (4, "short. text"), (5, "x" * 50), (6, ". " * 30), (7, "second alpha.b c d e f g h.greatest minds. some others")]
+    docs = spark.createDataFrame(data, "doc_id bigint, text string")
+    got = {r[0]: r[1:] for r in rows(C.condense_whole(docs, 30))}
+    assert got[1] == ("small one. tiny", False) and got[2] == ("longest words longest words", True)
+    assert got[3] == (None, False) and got[4] == ("short. text", False) and got[5] == ("x" * 30, True) and got[6] == ("", False)
+    assert got[7] == ("second alpha.greatest minds", False) and len(got) == 7
+    whole = {r[0] for r in rows(C.condense(docs, 30))}
+    assert not {1, 2, 3, 5} & whole  # the rule of condense_text's SQL
