@@ -14,6 +14,7 @@ def connected_groups(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: i
     Alternates hooking all larger neighbours to the smallest neighbour with hooking the smaller ones
     (O(log^2 n) rounds); every round is written to the shared folder and one row (count, sum of hashes)
     comes to the driver to see whether anything changed. Loops, repeated and reversed edges, nulls are ignored.
+    Raises if ``max_rounds`` don't suffice: unfinished groups are never returned.
     """
     e = (
         edges.select(F.col(a).alias("u"), F.col(b).alias("v"))
@@ -39,5 +40,7 @@ def connected_groups(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: i
         if now == before:
             break
         before = now
+    else:
+        raise RuntimeError(f"groups still change after {max_rounds} rounds")
     members = e.select(F.col("u").alias("id"), F.col("v").alias("group_id"))
     return members.union(e.select(F.col("v").alias("id"), F.col("v").alias("group_id")).distinct())

@@ -7,11 +7,13 @@ from __future__ import annotations
 
 import atexit
 import os
+import shutil
 import tempfile
 import uuid
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 REPO = str(Path(__file__).resolve().parent.parent)
 _own_dirs: dict[str, str] = {}
@@ -64,7 +66,9 @@ def shared_root(spark: SparkSession) -> str:
         if not base:
             if not spark.sparkContext.master.startswith("local"):
                 raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-            base = "file://" + tempfile.mkdtemp(prefix="catalogflow-")
+            folder = tempfile.mkdtemp(prefix="catalogflow-")
+            atexit.register(shutil.rmtree, folder, True)
+            base = "file://" + folder
         _own_dirs[app] = f"{base.rstrip('/')}/catalogflow-{app}"
         atexit.register(_delete, spark, _own_dirs[app])
     return _own_dirs[app]
@@ -80,3 +84,8 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     path = fresh_path(spark, tag)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def broadcast_small(df: DataFrame, rows: int = 200_000) -> DataFrame:
+    """``df`` with a broadcast hint if it has at most ``rows`` rows, else as it is, so that its join is shuffled. Counts ``df``, which should be staged."""
+    return F.broadcast(df) if df.count() <= rows else df
