@@ -45,11 +45,9 @@ def op3_imatch_fingerprints(spark, sf):
 
 def op6_host_reputation(spark, sf):
     """A page's outcome is its document's label; the document's number is in the URL."""
-    pages = table(spark, sf, "pages")
-    labels = table(spark, sf, "labels").select(F.col("doc_id").alias("lab_doc"), F.expr("case when quality = 0 or toxic = 1 then 1 else 0 end").alias("bad"))
+    labels = table(spark, sf, "labels").select(F.col("doc_id").alias("page_id"), F.expr("case when quality = 0 or toxic = 1 then 1 else 0 end").alias("bad"))
     number = F.expr("try_cast(regexp_extract(url, '^[a-z]+://[^/]+/[a-z]+/([0-9]+)', 1) as bigint)")
-    outcomes = pages.select("page_id", number.alias("doc")).join(labels, F.col("doc") == F.col("lab_doc")).select("page_id", "bad")
-    return hosts.filter_urls(pages, outcomes, suffixes=SUFFIXES)
+    return hosts.filter_urls(table(spark, sf, "pages"), labels, suffixes=SUFFIXES, key=number)
 
 
 def op8_exact_top_k(spark, sf):

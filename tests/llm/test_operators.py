@@ -266,6 +266,19 @@ def test_hosts_shrink_and_filter(spark):
     assert nothing.where("not kept").count() == 0 and hosts.filter_urls(pages.where("false"), labels).count() == 0
 
 
+def test_hosts_count_repeated_rows_once_each(spark):
+    """A row that stands r times counts r times, not r x r; long URLs, nulls and columns with the operator's own names do no harm."""
+    page = "page_id bigint, url string, n string, host string, key_ string"
+    one = (1, "http://h.example.org/1", "x", "y", "z")
+    long = (2, "http://" + "a" * 50_000 + ".example.org/" + "b" * 200_000, "x", "y", "z")
+    pages = spark.createDataFrame([one] * 4 + [long, (None, None, None, None, None)], page)
+    got = rows(hosts.filter_urls(pages, spark.createDataFrame([(1, 1)], "page_id bigint, bad int")))
+    assert [r["n"] for r in got if r["page_id"] == 1] == [4] * 4 and len(got) == 6
+    assert [(len(r["host"]), r["n"]) for r in got if r["page_id"] == 2] == [(50_012, 0)]
+    twice = rows(hosts.filter_urls(pages, spark.createDataFrame([(1, 1), (1, 0)], "page_id bigint, bad int")))
+    assert [r["n"] for r in twice if r["page_id"] == 1] == [8] * 4
+
+
 # 7
 
 
