@@ -8,7 +8,8 @@ give thresholds that rise, so smaller samples are contained in larger ones.
 
 Defined cases: null ``source`` is a source of its own, named ''; null ``doc_id`` hashes as 'null', and rows with the same
 id (ties, repeated rows) are taken or left together; null or empty text has no tokens and is taken at the lowest
-hash positions like any row. A source of weight 0 or without tokens is left out of the total (its budget is 0).
+hash positions like any row. A source of weight 0 or without tokens is left out of the total (its budget is 0, so that at most rows without
+tokens are taken of it); where no source has both, every budget is 0.
 Empty table: empty result. Extra columns aren't read.
 """
 
@@ -17,7 +18,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from catalogflow.session import staged
+from catalogflow.llm.order import free_name
+from catalogflow.session import broadcast_small, staged
 
 HASH = "cast(conv(substring(md5(coalesce(cast(doc_id as string), 'null')), 1, 15), 16, 10) as bigint)"
 BITS, STEP = 60, 12
@@ -55,6 +57,7 @@ def budgets(light: DataFrame, weights: dict[str, int], default_weight: int, perc
     else:
         unit = some.agg(F.expr("cast((cast(sum(have) as decimal(32,0)) * 1000000) div sum(w) as bigint)").alias("unit"))
     share = "cast(unit as decimal(38,0)) * w" if temperature is None else "least(cast(unit as decimal(38,0)) * w, cast(have as decimal(38,0)) * 1000000)"
+    unit = unit.select(F.coalesce("unit", F.lit(0)).alias("unit"))  # no source has both weight and tokens
     levels = F.explode(F.array(*[F.struct(F.lit(i + 1).alias("level"), F.lit(p).cast("bigint").alias("p")) for i, p in enumerate(sorted(percents))])).alias("x")
     return (
         have.crossJoin(unit).select("source", "w", "have", "unit", levels)
@@ -65,14 +68,14 @@ def budgets(light: DataFrame, weights: dict[str, int], default_weight: int, perc
 def thresholds(light: DataFrame, limits: DataFrame) -> DataFrame:
     """(source, level, threshold): the largest hash up to which the tokens fit in the budget; -1 where none does.
 
-    Tables that grow with sources x levels only (at most 4,096 buckets each) go through the windows; the frontier that is
-    broadcast has one row per source and level.
+    Tables that grow with sources x levels only (at most 4,096 buckets each) go through the windows. The frontier has one row per
+    source and level; it is counted, and broadcast only if it is small.
     """
     front = staged(limits.select("source", "level", F.col("budget").alias("left"), F.lit(0).cast("bigint").alias("low")), "mix-front")
     done = None
     for shift in range(BITS - STEP, -1, -STEP):
         width = 1 << (shift + STEP)
-        part = light.join(F.broadcast(front), "source").where((F.col("h") >= F.col("low")) & (F.col("h") < F.col("low") + F.lit(width)))
+        part = light.join(broadcast_small(front), "source").where((F.col("h") >= F.col("low")) & (F.col("h") < F.col("low") + F.lit(width)))
         hist = part.groupBy("source", "level", "low", "left", F.shiftright(F.col("h") - F.col("low"), shift).alias("bucket")).agg(F.sum("tokens").alias("t"))
         run = Window.partitionBy("source", "level").orderBy("bucket")
         hist = hist.withColumn("upto", F.sum("t").over(run))
@@ -96,13 +99,17 @@ def mix_levels(docs: DataFrame, weights: dict[str, int] | None = None, default_w
     """(doc_id, source, tokens, level) of the chosen documents; level is the smallest budget that takes the document."""
     light = light_rows(docs, tokens)
     cut = thresholds(light, budgets(light, weights or {}, default_weight, list(percents), temperature))
-    wide = cut.groupBy("source").agg(F.array_sort(F.collect_list(F.struct("level", "threshold"))).alias("cuts"))
+    wide = staged(cut.groupBy("source").agg(F.array_sort(F.collect_list(F.struct("level", "threshold"))).alias("cuts")), "mix-cuts")
     level = F.expr("get(filter(cuts, c -> c.threshold >= h), 0).level")
-    return light.join(F.broadcast(wide), "source").withColumn("level", level).where("level is not null").select("doc_id", "source", "tokens", "level")
+    return light.join(broadcast_small(wide), "source").withColumn("level", level).where("level is not null").select("doc_id", "source", "tokens", "level")
 
 
 def mix_documents(docs: DataFrame, weights: dict[str, int] | None = None, default_weight: int = 1, tokens: Column | None = None, temperature: float | None = None) -> DataFrame:
     """The rows of ``docs`` that the full budgets take, with their own columns: a filter on the hash, no join on ids."""
     light = light_rows(docs, tokens)
-    cut = thresholds(light, budgets(light, weights or {}, default_weight, [100], temperature)).select(F.col("source").alias("mix_source_"), F.col("threshold").alias("mix_threshold_"))
-    return docs.join(F.broadcast(cut), F.coalesce(docs["source"], F.lit("")) == F.col("mix_source_")).where(F.expr(HASH) <= F.col("mix_threshold_")).select(*[docs[c] for c in docs.columns])
+    cut = thresholds(light, budgets(light, weights or {}, default_weight, [100], temperature)).select("source", "threshold")
+    # one struct column under a name that no column of docs has
+    name = free_name(docs, "mix_cut")
+    cut = staged(cut.select(F.struct("source", "threshold").alias(name)), "mix-cuts")
+    kept = docs.join(broadcast_small(cut), F.coalesce(docs["source"], F.lit("")) == F.col(f"{name}.source"))
+    return kept.where(F.expr(HASH) <= F.col(f"{name}.threshold")).drop(name)

@@ -229,7 +229,7 @@ def brute_mix(docs, weights, default, percents):
         by[d["source"] or ""].append((h(d["doc_id"]), len((d["text"] or "").split()), d["doc_id"]))
     have = {s: sum(n for _, n, _ in v) for s, v in by.items()}
     w = {s: weights.get(s, default) for s in by}
-    unit = min(have[s] * 1_000_000 // w[s] for s in by if w[s] > 0 and have[s] > 0)
+    unit = min((have[s] * 1_000_000 // w[s] for s in by if w[s] > 0 and have[s] > 0), default=0)
     out = Counter()
     for s, v in by.items():
         for x, n, d in v:
@@ -251,6 +251,16 @@ def test_mixing_equals_brute_force(spark, weights):
     assert mixing.mix_levels(empty(spark)).count() == 0 and mixing.mix_documents(empty(spark)).count() == 0
 
 
+def test_mixing_without_a_source_of_weight_and_tokens(spark):
+    """Weight 0 for the only source that has tokens: nothing with tokens is taken; columns may have any names."""
+    data = [(i, "a", "w w w", 1, 2) for i in range(20)] + [(50, "b", None, 1, 2), (51, None, "", 1, 2)]
+    df = spark.createDataFrame(data, "doc_id bigint, source string, text string, mix_cut int, threshold int")
+    got = rows(mixing.mix_levels(df, {"a": 0}, 1, [50, 100]))
+    assert Counter((r["doc_id"], r["source"], r["tokens"], r["level"]) for r in got) == brute_mix(rows(df), {"a": 0}, 1, [50, 100])
+    kept = mixing.mix_documents(df, {"a": 0})
+    assert kept.columns == df.columns and {r["doc_id"] for r in rows(kept)} == {50, 51}
+
+
 # 6
 
 
