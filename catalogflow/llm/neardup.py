@@ -14,7 +14,8 @@ Jaccard on the texts. Groups are the connected components of the verified pairs.
 Defined cases: null or empty texts, or texts without letters and digits, resemble nothing but are copies of the same
 text (null apart from empty); shorter texts than ``k`` words are one shingle. Rows without ``doc_id`` stay alone
 (group_id null, kept). Rows that repeat a doc_id are one document: one row of result, and one kept row in
-``drop_near_duplicates``. Extra columns aren't read. Ties go to the smallest doc_id.
+``drop_near_duplicates``; where their texts differ, the text with the smallest digest (a null text last) stands for the document in
+all steps. Extra columns aren't read, whatever their names. Ties go to the smallest doc_id.
 """
 
 from __future__ import annotations
@@ -25,10 +26,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from catalogflow.llm import text as tx
+from catalogflow.llm.order import free_name
 from catalogflow.operators.graph import connected_groups
 from catalogflow.session import staged
 
 U64 = np.uint64
+DIGEST = "coalesce(md5(text), 'null')"
 
 
 def weighted(texts: pa.Array, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -107,7 +110,7 @@ def _bands(docs: DataFrame, k: int, bands: int, rows: int) -> DataFrame:
             lists = pa.ListArray.from_arrays(pa.array(at), pa.array(who[some].ravel()), mask=pa.array(~some) if not some.all() else None)
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("digest"), lists], ["doc_id", "digest", "bands"])
 
-    src = docs.select("doc_id", F.expr("coalesce(md5(text), 'null')").alias("digest"), "text")
+    src = docs.select("doc_id", F.expr(DIGEST).alias("digest"), "text")
     return src.mapInArrow(run, "doc_id bigint, digest string, bands array<bigint>")
 
 
@@ -117,7 +120,8 @@ def _verify(pairs: DataFrame, docs: DataFrame, k: int, threshold: float, small:
     ids = staged(ids, "nd-ids")
     few = ids.count() <= small
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(F.broadcast(ids) if few else ids, "id", "left_semi")
-    texts = staged(texts.groupBy("id").agg(F.min("text").alias("text")), "nd-texts")
+    first = F.min(F.struct(F.expr(DIGEST).alias("digest"), "text"))  # the row that the digest and the bands of an id come from
+    texts = staged(texts.groupBy("id").agg(first["text"].alias("text")), "nd-texts")
     both = (
         pairs.join(texts.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
         .join(texts.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
@@ -179,7 +183,7 @@ def near_duplicate_groups(docs: DataFrame, k: int = 3, threshold: float = 0.5, b
     """
     light = staged(_bands(docs, k, bands, rows), "nd-light")
     named = light.where("doc_id is not null")
-    one = named.groupBy("doc_id").agg(F.min("digest").alias("digest"), F.min("bands").alias("bands"))
+    one = named.groupBy("doc_id").agg(F.min(F.struct("digest", "bands")).alias("x")).select("doc_id", "x.*")
     texts = one.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("bands").alias("bands"))
     texts = staged(texts, "nd-texts")
     pairs = near_pairs(texts.select(F.col("rep").alias("doc_id"), "bands"), docs.where("doc_id is not null"), k, threshold, small)
@@ -201,4 +205,6 @@ def drop_near_duplicates(docs: DataFrame, small: int = 2_000_000, **options) ->
     if again.isEmpty():
         return left
     single = left.join(again, "doc_id", "left_anti").select(*docs.columns)
-    return single.unionByName(left.join(again, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"]))
+    name = free_name(docs, "nd_rank")
+    several = left.join(again, "doc_id", "left_semi").withColumn(name, F.row_number().over(Window.partitionBy("doc_id").orderBy(F.expr(DIGEST))))
+    return single.unionByName(several.where(F.col(name) == 1).select(*docs.columns))

@@ -26,7 +26,7 @@ def low_memory() -> None:
 
 
 def slices(batches, column: str, limit: int = 400_000) -> Iterator[pa.RecordBatch]:
-    """Runs of whole rows with about ``limit`` bytes of ``column``; one row at least."""
+    """Runs of whole rows with about ``limit`` bytes of ``column``; one row at least, 65,536 at most."""
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -35,6 +35,7 @@ def slices(batches, column: str, limit: int = 400_000) -> Iterator[pa.RecordBatc
         start = 0
         while start < len(total):
             end = max(start + 1, int(np.searchsorted(total, limit + (total[start - 1] if start else 0), "right")))
+            end = min(end, start + (1 << 16))
             yield batch.slice(start, end - start)
             start = end
 

@@ -394,6 +394,19 @@ def test_near_duplicates_odd_cases(spark):
     assert sorted(map(str, rows(shuffled))) == sorted(map(str, got))
 
 
+def test_near_duplicates_of_an_id_with_two_texts(spark):
+    """Digest, bands, verified text and kept row of an id come from one row."""
+    a, b = " ".join(f"left{i}" for i in range(120)), " ".join(f"right{i}" for i in range(120))
+    for first, second in ((a, b), (b, a)):
+        low, high = sorted((first, second), key=lambda t: hashlib.md5(t.encode()).hexdigest())
+        data = [(1, first, 0), (1, second, 0), (1, None, 0), (2, low.replace("7 ", "7x ", 1), 0), (3, high.replace("7 ", "7x ", 1), 0)]
+        df = spark.createDataFrame(data, "doc_id bigint, text string, nd_rank int")
+        got = {r["doc_id"]: r["group_id"] for r in rows(neardup.near_duplicate_groups(df))}
+        assert got == {1: 1, 2: 1, 3: 3}
+        kept = rows(neardup.drop_near_duplicates(df))
+        assert sorted((r["doc_id"], r["text"]) for r in kept) == [(1, low), (3, data[-1][1])] and set(kept[0]) == set(df.columns)
+
+
 # 8
 
 
