@@ -3,9 +3,9 @@
 Model: byte trigrams inside words without digits (word ends count as a blank), hashed to ``buckets``; their relative
 frequencies per language are counted over all rows with a label. A word's likelihood in a language is the
 product over its trigrams; a document is a mixture of languages and of an "other" component that is uniform
-over trigrams. EM estimates the mixture; among the nested sets of the largest languages the one with the
-best likelihood less ``penalty * |set| * log(1 + words)`` is taken. When even all languages together do not
-pay for a second one, the single language is the exact optimum and the smaller sets are not fitted.
+over trigrams. EM estimates the mixture, for each document until its own proportions stand still; among the nested sets of the
+largest languages the one with the best likelihood less ``penalty * |set| * log(1 + words)`` is taken. When a bound on the likelihood
+of all languages together doesn't pay for a second one, no set between can, and these are not fitted.
 
 Defined cases: null or empty text, or text without words of letters: no words, ``li_pred`` null,
 ``li_rejected`` true. Null ``doc_id`` or repeated rows: one output row per input row. Rows without a label
@@ -81,26 +81,29 @@ def fit(docs: DataFrame, label: str = "lang", buckets: int = 1 << 16, smooth: fl
     return names, np.log(table / table.sum(axis=1, keepdims=True)).astype(np.float32) if names else table.astype(np.float32)
 
 
-def mixture(like: list[np.ndarray], first: np.ndarray, size: np.ndarray, allowed: np.ndarray, rounds: int, rest: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """(proportions per component and document, log likelihood) after ``rounds`` of EM from equal proportions.
+def mixture(like: np.ndarray, first: np.ndarray, size: np.ndarray, allowed: np.ndarray, least: float = 1e-3) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(proportions per component and document, log likelihood, what it lacks of the optimum at most), by EM from equal proportions.
 
-    like: for each component, the scaled likelihood of each word; allowed: component x document. Documents that hardly move
-    any more stop early through convergence of all.
+    like: component x word, scaled likelihoods; allowed: component x document. A document is left when no proportion of its own moves
+    by ``least`` any more, so its result doesn't depend on the documents beside it. The log likelihood is concave in the
+    proportions, so it lacks at most (largest slope towards a component) - (words).
     """
     share = allowed / np.maximum(allowed.sum(axis=0), 1)
-    for _ in range(rounds):
-        parts = [np.repeat(share[i], size) * like[i] for i in range(len(like))]
-        total = np.sum(parts, axis=0) + 1e-300
-        new = np.stack([np.add.reduceat(p / total, first) for p in parts]) / size
-        done = np.abs(new - share).max(initial=0) < 1e-3
-        share = new
-        if done:
-            break
-    total = sum(np.repeat(share[i], size) * like[i] for i in range(len(like))) + 1e-300
-    return share, np.add.reduceat(np.log(total), first)
-
-
-def infer(texts: pa.Array, names: list[str], table: np.ndarray, rounds: int = 12, penalty: float = 1.0, max_other: float = 0.8) -> dict[str, list]:
+    live, words, at, n = np.arange(len(size)), like, first, size
+    while len(live):
+        parts = np.repeat(share[:, live], n, axis=1) * words
+        new = np.add.reduceat(parts / (parts.sum(axis=0) + 1e-300), at, axis=1) / n
+        go = np.abs(new - share[:, live]).max(axis=0) >= least
+        share[:, live] = new
+        if not go.all():
+            words, live, n = words[:, np.repeat(go, n)], live[go], n[go]
+            at = np.concatenate([[0], np.cumsum(n)])[:-1]
+    total = (np.repeat(share, size, axis=1) * like).sum(axis=0) + 1e-300
+    slope = np.where(allowed > 0, np.add.reduceat(like / total, first, axis=1), 0).max(axis=0)
+    return share, np.add.reduceat(np.log(total), first), np.maximum(slope - size, 0)
+
+
+def infer(texts: pa.Array, names: list[str], table: np.ndarray, penalty: float = 1.0, max_other: float = 0.8) -> dict[str, list]:
     """The columns of RESULT for the texts."""
     n_docs, n_lang, buckets = len(texts), len(names), table.shape[1]
     pred: list = [None] * n_docs
@@ -110,26 +113,26 @@ def infer(texts: pa.Array, names: list[str], table: np.ndarray, rounds: int = 12
     words = np.bincount(doc, minlength=n_docs)
     if len(at) and n_lang:
         ll = np.stack([np.add.reduceat(table[i][code], at) for i in range(n_lang)] + [-np.log(buckets) * np.diff(np.append(at, len(code)))])
-        like = list(np.exp(ll - ll.max(axis=0)))
+        like = np.exp(ll - ll.max(axis=0))
         some = np.flatnonzero(words)
         size = words[some]
         first = np.concatenate([[0], np.cumsum(size)])[:-1]
         every = np.ones((n_lang + 1, len(some)))
-        share, best = mixture(like, first, size, every, rounds)
+        share, best, lack = mixture(like, first, size, every)
         order = np.argsort(-share[:-1], axis=0, kind="stable")
         rank = np.argsort(order, axis=0, kind="stable")
         cost = penalty * np.log1p(size)
         one = np.vstack([rank == 0, np.ones((1, len(some)), bool)]).astype(float)
-        chosen, ll_one = mixture(like, first, size, one, rounds)
+        chosen, ll_one, _ = mixture(like, first, size, one)
         score, k_best = ll_one - cost, np.ones(len(some), int)
-        more = np.flatnonzero(best - 2 * cost > score) if n_lang > 1 else np.zeros(0, int)
+        more = np.flatnonzero(best + lack - 2 * cost > score) if n_lang > 1 else np.zeros(0, int)
         if len(more):
             of = np.repeat(np.isin(np.arange(len(some)), more), size)
-            sub, sub_size = [x[of] for x in like], size[more]
+            sub, sub_size = like[:, of], size[more]
             sub_first = np.concatenate([[0], np.cumsum(sub_size)])[:-1]
             for k in range(2, n_lang + 1):
                 allow = np.vstack([rank[:, more] < k, np.ones((1, len(more)), bool)]).astype(float)
-                s, v = mixture(sub, sub_first, sub_size, allow, rounds) if k < n_lang else (share[:, more], best[more])
+                s, v = mixture(sub, sub_first, sub_size, allow)[:2] if k < n_lang else (share[:, more], best[more])
                 v = v - k * cost[more]
                 better = v > score[more]
                 score[more[better]], k_best[more[better]] = v[better], k

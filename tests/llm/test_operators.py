@@ -207,6 +207,24 @@ def test_language_mixture_and_brute_force(spark):
     assert {names[i] for i in best[1]} == set(got["li_langs"][0].split(","))
 
 
+def test_language_of_a_document_is_the_same_alone_and_in_a_batch(spark):
+    docs = table(spark, "/root/testdata/sf0.01", "documents").select("doc_id", "text", "lang")
+    model = language.fit(docs)
+    texts = docs.orderBy("doc_id").toArrow().column("text").combine_chunks()
+    whole = language.infer(texts, *model)
+    for i in range(0, len(texts), 3):
+        alone = language.infer(texts.slice(i, 1), *model)
+        assert all(alone[c][0] == whole[c][i] for c in whole), i
+    # no fitted set is better than the bound says, and the bound is no looser than a longer search needs
+    rng = np.random.default_rng(0)
+    like = rng.random((4, 300))
+    size = np.array([100, 5, 195])
+    first = np.array([0, 100, 105])
+    _, found, lack = language.mixture(like, first, size, np.ones((4, 3)), 1e-3)
+    _, best, rest = language.mixture(like, first, size, np.ones((4, 3)), 1e-9)
+    assert (best >= found - 1e-9).all() and (best <= found + lack + 1e-9).all() and (rest < 1e-3).all()
+
+
 def test_language_odd_cases(spark):
     df = odd(spark)
     model = language.fit(df)
