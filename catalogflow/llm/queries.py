@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from catalogflow.llm import ctw, hilbert, hosts, imatch, language, mixing, neardup, packing, topk, warc
-from catalogflow.session import table
+from catalogflow.session import fresh_path, table
 
 MIX = {"src0": 4, "src1": 2}
 
@@ -55,7 +55,8 @@ def op8_exact_top_k(spark, sf):
 
 
 def op10_hilbert_shards(spark, sf):
-    return hilbert.assign(table(spark, sf, "documents"))
+    """Whole documents go into sorted files; the rows are read back from these, with the extents of their file."""
+    return hilbert.shards(table(spark, sf, "documents"), fresh_path(spark, "hilbert"))
 
 
 QUERIES = {
@@ -88,8 +89,11 @@ least({top - 1}, floor(log2(1 + greatest(coalesce(n_chars, 0), 0)) * {top / 32})
 cells as (select d0, d1, d2, sum(n_chars)::bigint size from r group by 1, 2, 3),
 walk as (select d0, d1, d2, {bits - 1} b, 0::bigint hx, 0 st from cells union all
 select d0, d1, d2, b - 1, hx * 8 + {digit}[o + 1], {follow}[o + 1] from (select *, st * 8 + (d0 >> b) % 2 + 2 * ((d1 >> b) % 2) + 4 * ((d2 >> b) % 2) o from walk where b >= 0)),
-placed as (select c.*, hx cell, coalesce(sum(size) over (order by hx rows between unbounded preceding and 1 preceding), 0) before from cells c join (select d0, d1, d2, hx from walk where b = -1) using (d0, d1, d2))
-select doc_id, source, lang, n_chars, cell, ((before + (h::hugeint * size) // {1 << 60}) // {target})::bigint shard from r join placed using (d0, d1, d2)"""
+placed as (select c.*, hx cell, coalesce(sum(size) over (order by hx rows between unbounded preceding and 1 preceding), 0) before from cells c join (select d0, d1, d2, hx from walk where b = -1) using (d0, d1, d2)),
+o as (select doc_id, source, lang, n_chars, cell, ((before + (h::hugeint * size) // {1 << 60}) // {target})::bigint shard from r join placed using (d0, d1, d2)),
+e as (select shard, min(source) min_source, max(source) max_source, min(lang) min_lang, max(lang) max_lang, min(n_chars) min_n_chars, max(n_chars) max_n_chars from o group by 1),
+x as (select *, not coalesce(min_lang <= 'de' and max_lang >= 'de' and min_n_chars <= 4000 and max_n_chars >= 1000, false) skipped from e)
+select o.*, min_source, max_source, min_lang, max_lang, min_n_chars, max_n_chars, skipped, (select round(avg(skipped::int), 6) from x) skipped_share from o join x using (shard)"""
 
 
 ORACLES = {

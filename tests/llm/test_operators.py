@@ -522,8 +522,30 @@ def test_hilbert_shards_and_pruning(spark):
     assert len(sizes) > 20 and sizes.drop(sizes.idxmax()).max() < 60_000
     order = got.groupby("shard")["cell"].agg(["min", "max"]).sort_index()
     assert (order["min"].values[1:] >= order["max"].values[:-1]).all()
-    stats = hilbert.write(df, fresh_path(spark, "hilbert"), target=20_000).toPandas()
+    path = fresh_path(spark, "hilbert")
+    cell, shard = hilbert.write(df, path, target=20_000)
+    back = spark.read.parquet(path)
+    stats = hilbert.extents(back, shard).toPandas()
     assert stats["rows"].sum() == df.count()
     one = stats[(stats["min_source"] <= "s3") & (stats["max_source"] >= "s3") & (stats["min_lang"] <= "en") & (stats["max_lang"] >= "en")]
     assert len(one) < 0.6 * len(stats)
+    # a shard is one file, in order of the curve
+    files = back.select("*", F.input_file_name().alias("f")).toPandas()
+    assert files.groupby(shard)["f"].nunique().max() == 1 and files.groupby("f")[shard].nunique().max() == 1
+    assert all(g[cell].is_monotonic_increasing for _, g in files.groupby("f"))
     assert hilbert.assign(empty(spark)).count() == 0
+    assert hilbert.shards(empty(spark), fresh_path(spark, "hilbert")).count() == 0
+
+
+def test_hilbert_carries_columns_of_any_name(spark):
+    """Nulls, long texts, repeated rows, negative sizes, and columns named like the operator's own, which come back as they were."""
+    names = ["hb_0", "hb_1", "hb_hash", "HB_SIZE", "hilbert_cell", "hilbert_shard", "v", "one", "before", "shard"]
+    data = [(1, "x" * 300_000, "en", "a", 300_000), (2, None, None, None, None), (None, "", "de", "b", -5), (1, "x" * 300_000, "en", "a", 300_000), (3, "t", "de", "a", 2_000)]
+    df = spark.createDataFrame([r + tuple(range(7, 17)) for r in data], "doc_id bigint, text string, lang string, source string, n_chars bigint, " + ", ".join(f"{n} bigint" for n in names))
+    path = fresh_path(spark, "hilbert")
+    cell, shard = hilbert.write(df, path, target=100_000)
+    assert (cell, shard) == ("hilbert_cell_", "hilbert_shard_")
+    back = rows(spark.read.parquet(path).select(*df.columns))
+    assert sorted(map(str, back)) == sorted(map(str, rows(df)))
+    got = rows(hilbert.shards(df, fresh_path(spark, "hilbert"), target=100_000))
+    assert len(got) == 5 and len({r["shard"] for r in got if r["doc_id"] == 1}) == 1 and not next(r["skipped"] for r in got if r["doc_id"] == 3)
