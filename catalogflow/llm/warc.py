@@ -1,7 +1,7 @@
 """Operator 1: deterministic sharded WARC files.
 
-Records are range-sorted by URL (host labels reversed) and id. Range borders are quantiles of the keys that a hash of the row
-selects, so they depend on the rows alone, not on how these are stored or scheduled. Every record gets fresh headers, digests and an
+Records are range-sorted by URL (host labels reversed) and id. Ranges hold equal bytes of html by the running total over all
+keys in order, so their borders depend on the rows alone, not on how these are stored or scheduled. Every record gets fresh headers, digests and an
 id derived from its content, and is a gzip member of its own. Inside a range, files roll when their compressed size reaches
 ``file_bytes``. Tasks write under names of their own in ``_temporary``; the rows of the attempts that succeeded, and no others, become
 the manifest, by which files are then moved to their final names; a second run of that step changes nothing. ``_SUCCESS``
@@ -21,11 +21,12 @@ import hashlib
 import uuid
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from catalogflow.llm import text as tx
 from catalogflow.llm.hosts import host_of
+from catalogflow.llm.order import running_total
 from catalogflow.session import fresh_path, staged
 
 INDEX = "page_id bigint, shard int, temp string, name string, offset bigint, length bigint, raw_bytes bigint, digest string"
@@ -60,16 +61,16 @@ def response(uri: str | None, html: str | None, date: str) -> tuple[bytes, str,
     return member("response", uri, "application/http; msgtype=response", http + body, digest, date), digest, len(body)
 
 
-def borders(keyed: DataFrame, shards: int, per_shard: int = 20) -> list[str]:
-    """Upper borders of all ranges but the last, from about ``per_shard`` keys for each range; only the borders come to the driver."""
-    if shards < 2:
+def borders(keyed: DataFrame, total: int, shard_bytes: int) -> list[str]:
+    """Least keys of all ranges but the first, so that each range has as near ``shard_bytes`` of html as whole keys allow; keyed: (key, size).
+
+    All keys count, not a sample. Only the borders come to the driver: one for each ``shard_bytes``.
+    """
+    if total <= shard_bytes:
         return []
-    rows = keyed.count()
-    share = min(1.0, shards * per_shard / max(1, rows))
-    chosen = keyed.where(F.pmod(F.xxhash64("key"), F.lit(1 << 30)) < int(share * (1 << 30)))
-    ranked = chosen.select("key", F.row_number().over(Window.orderBy("key")).alias("r"), F.count("*").over(Window.partitionBy()).alias("n"))
-    cut = ranked.where(F.expr(f"(r - 1) * {shards} div n <> (r - 2) * {shards} div n and r > 1"))
-    return sorted(set(cut.select("key").toPandas()["key"]))
+    shards = -(-total // shard_bytes)
+    cut = running_total(keyed, ["key"], "size").groupBy(F.expr(f"cast((cast(before as decimal(38,0)) * {shards}) div {total} as bigint)").alias("shard")).agg(F.min("key").alias("key"))
+    return sorted(set(cut.where("shard > 0").toPandas()["key"]))
 
 
 def write_warc(pages: DataFrame, path: str, shard_bytes: int = 256_000_000, file_bytes: int = 64_000_000, date: str = "2000-01-01T00:00:00Z") -> DataFrame:
@@ -82,7 +83,7 @@ def write_warc(pages: DataFrame, path: str, shard_bytes: int = 256_000_000, file
     spark = pages.sparkSession
     keyed = pages.select("page_id", "url", "html", sort_key().alias("key"))
     size = keyed.agg(F.sum(F.octet_length("html"))).first()[0] or 0
-    edge = spark.sparkContext.broadcast(borders(keyed.select("key"), -(-size // shard_bytes)))
+    edge = spark.sparkContext.broadcast(borders(keyed.select("key", F.coalesce(F.octet_length("html"), F.lit(0)).cast("bigint").alias("size")), size, shard_bytes))
     temporary = f"{path}/_temporary"
 
     def build(batches):

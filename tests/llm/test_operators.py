@@ -78,6 +78,37 @@ def test_warc_round_trip(spark):
     assert (per < 3_000 + index["length"].max()).all()
 
 
+def test_warc_ranges_are_what_the_running_total_says(spark):
+    """Equal bytes per range, computed anew; very long pages, ties and repeated rows; columns named like the operator's own."""
+    rng = np.random.default_rng(6)
+    sizes = np.minimum(rng.pareto(1.5, 3000) * 300, 8_000).astype(int).tolist()
+    data = [(i, f"http://h{i % 50}.example.com/{i * 7919 % 3001}", "x" * n, "k", 1) for i, n in enumerate(sizes)] + [(5, "http://h5.example.com/1", "y" * 100, "k", 1)] * 3
+    pages = spark.createDataFrame(data, "page_id bigint, url string, html string, key string, size int")
+    index = warc.write_warc(pages, fresh_path(spark, "w"), shard_bytes=100_000, file_bytes=20_000).toPandas()
+    per = index.groupby("shard")["raw_bytes"].sum()
+    assert len(per) > 5 and per.max() <= 1.3 * per.mean() and index["raw_bytes"].sum() == sum(len(r[2]) for r in data)
+    # brute force: keys in order, ranges of equal bytes, a key never divided
+    keyed = sorted((warc_key(u, i), len(h), i) for i, u, h, _, _ in data)
+    total = sum(n for _, n, _ in keyed)
+    shards, before, edge = -(-total // 100_000), 0, {}
+    for k, n, _ in keyed:
+        edge.setdefault(before * shards // total, k)
+        before += n
+    cuts = sorted({k for s, k in edge.items() if s})
+    want = Counter((sum(k >= c for c in cuts), i) for k, _, i in keyed)
+    assert Counter(zip(index["shard"], index["page_id"])) == want
+    long = spark.createDataFrame([(1, "http://a.example.com/", "é" * 3_000_000)], "page_id bigint, url string, html string")
+    path = fresh_path(spark, "w")
+    warc.write_warc(long, path, shard_bytes=1_000_000, file_bytes=1_000)
+    back = [r for r in rows(warc.read_warc(spark, path)) if r["kind"] == "response"]
+    assert len(back) == 1 and back[0]["digest_ok"] and bytes(back[0]["payload"]).decode() == "é" * 3_000_000
+
+
+def warc_key(url, page_id):
+    host, path = re.match("http://([^/]+)(.*)", url).groups()
+    return ",".join(host.split(".")[::-1]) + ")" + path + " " + str(page_id).rjust(20, "0")
+
+
 def test_warc_commit_is_repeatable_and_empty_is_fine(spark):
     from pyarrow import fs
 
