@@ -4,7 +4,7 @@ A lexicon holds the terms whose document frequency lies in a band of shares of t
 lexicon terms, sorted, are hashed together; so are those of several random subsets of the lexicon, so that a term that one
 copy lacks spoils only some of the hashes. Both ends of the band are shares of the number of documents: with the lower share
 ``low`` the lexicon has at most (mean distinct terms of a document) / ``low`` terms however large the corpus is, which bounds
-what every worker reads.
+what every worker reads. A term that stands in one document only is never in the lexicon, whatever ``low`` says: it can't be shared.
 
 Terms: lower case, split at everything but letters a-z, à-ÿ, ß and digits. Defined cases: null or empty text, or text
 without lexicon terms: n_terms 0 and null hashes; null ``doc_id`` and repeated rows: one output row per input row, each

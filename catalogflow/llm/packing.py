@@ -6,7 +6,7 @@ left), and where none fits the fullest is emitted and a new one opened. Longer d
 which is placed like a document. At the end the windows left open, at most ``open_windows`` per partition, are merged in
 the same way (fullest first, best fit, nothing is cut).
 
-Defined cases: null or empty text has 0 tokens and is listed with window_id null; null ``doc_id`` counts as one more id;
+Defined cases: null or empty text has 0 tokens and is listed with window_id null; rows with null ``doc_id`` are spread by a hash of their text;
 repeated rows are placed each on their own; ties in room go to the window opened first, ties in order to the smaller id.
 Empty table: empty result. Extra columns aren't read.
 """
@@ -20,9 +20,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from catalogflow.llm.mixing import HASH, word_count
+from catalogflow.llm.mixing import word_count
 from catalogflow.session import staged
 
+#: Rows without id are spread by their text.
+HASH = "cast(conv(substring(md5(coalesce(cast(doc_id as string), concat('null/', text), 'null')), 1, 15), 16, 10) as bigint)"
 SCHEMA = "doc_id bigint, piece int, part bigint, w bigint, start int, tokens int, used int, is_open boolean"
 
 
