@@ -475,6 +475,31 @@ def test_top_k_equals_brute_force(spark):
     assert Counter(r["vec_id"] for r in few) == {0: 2, 1: 2, 2: 2} and topk.top_k(df.where("false")).count() == 0
 
 
+def test_top_k_of_huge_numbers_and_columns_of_any_name(spark):
+    """Finite vectors are never dropped; scores that overflow rank as infinities."""
+    data = [(1, [1e31, 0.0]), (2, [2.0, 0.0]), (3, [0.0, 1.0]), (4, [1e300, 1e300]), (5, [1e300, -1e300]), (6, [float("inf"), 0.0])]
+    df = spark.createDataFrame([(i, v, 0, 0.0, 0) for i, v in data], "vec_id bigint, embedding array<double>, lead int, value double, score int")
+    got = defaultdict(list)
+    for r in rows(topk.top_k(df, k=4, block_rows=2).orderBy("vec_id", "rank")):
+        got[r["vec_id"]].append((r["neighbour_id"], r["score"]))
+    assert set(got) == {1, 2, 3, 4, 5} and all(len(v) == 4 for v in got.values())
+    assert got[2][0] == (4, 2e300) and got[2][1] == (5, 2e300) and got[2][2] == (1, 2e31) and got[4][0] == (1, float("inf")) and {j for j, _ in got[4]} == {1, 2, 3, 5}
+
+
+def test_top_k_skips_blocks_that_cannot_matter(spark):
+    """Rows in well separated directions: the bound of a block keeps it shut."""
+    opened = []
+    rng = np.random.default_rng(8)
+    x = np.vstack([np.eye(8)[i] * 10 + rng.random((50, 8)) for i in range(8)])
+    low, high = (np.array([f(x[i * 50 : i * 50 + 50], axis=0) for i in range(8)]) for f in (np.min, np.max))
+    bound = topk.box_bounds(x, low, high)
+    assert (bound + 1e-6 >= np.stack([(x @ x[i * 50 : i * 50 + 50].T).max(axis=1) for i in range(8)], axis=1)).all()
+    for i in range(8):
+        kth = np.sort(x[i * 50 : i * 50 + 50] @ x[i * 50 : i * 50 + 50].T, axis=1)[:, -6]
+        opened.append((bound[i * 50 : i * 50 + 50] >= kth[:, None]).any(axis=0).sum())
+    assert opened == [1] * 8
+
+
 def test_threshold_stops_early():
     rng = np.random.default_rng(5)
     x = rng.normal(size=(4000, 4)) * 0.01
