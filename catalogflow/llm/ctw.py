@@ -5,9 +5,11 @@ the whole corpus, and weights mix the estimates of all depths: at a node, one ha
 children's product, so the predictive probability is w * KT + (1 - w) * (the deeper node's), w being the node's posterior weight. The
 sum of -log2 over a document's bytes is its code length, reported per byte.
 
-Counts are of whole (depth + 1)-grams over all documents. Documents are spread over chunks by a hash; a chunk sends its distinct
-n-grams and gets back their code lengths only, so nothing that grows with the corpus is broadcast and no row is made per byte.
-Groups of n-grams that share their newest context byte are weighted apart; only the root, 255 nodes, passes through the driver.
+Counts are of whole (depth + 1)-grams over all documents. Documents are spread over chunks by a hash, written once, a file for each
+chunk; tasks count a chunk's distinct n-grams where they read it, and read their code lengths back when they score it, so texts are shuffled
+once, nothing that grows with the corpus is broadcast and no row is made per byte. N-grams are weighted in groups of whole pairs of
+newest context bytes, of which there are up to 65,536; the levels above, the root and the newest byte's, at most 256 x 255 nodes, pass
+through the driver. What bounds a group is its largest pair of bytes, a few per cent of the distinct n-grams.
 
 Defined cases: null or empty text has 0 bytes and null code length; null ``doc_id`` and repeated rows: one output row per input
 row, each counts; bytes before a document's start are 0; empty table: empty result. Extra columns aren't read.
@@ -21,8 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from catalogflow.llm import text as tx
-from catalogflow.llm.mixing import HASH
-from catalogflow.session import staged
+from catalogflow.llm.packing import HASH
+from catalogflow.session import fresh_path, staged
 
 U64 = np.uint64
 LOG2 = np.log(2.0)
@@ -123,34 +125,81 @@ class Lookup:
         return out
 
 
-def code_lengths(docs: DataFrame, depth: int = 4, chunk_chars: int = 16_000_000) -> DataFrame:
-    """(doc_id, n_bytes, bits, bits_per_byte). ``depth``: bytes of context, 1 to 6; chunk_chars: text of one Python group."""
+def merged(found: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    code, of = np.unique(np.concatenate([c for c, _ in found]), return_inverse=True)
+    return code, np.bincount(of, weights=np.concatenate([n for _, n in found]), minlength=len(code)).astype(np.int64)
+
+
+def head(nodes, leaf: bool) -> list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(mask, zeros, ones, stay) of the levels above the groups' trees, the deeper first, indexed by node & mask.
+
+    nodes: the level below them summed by newest byte and prefix (node, zeros, ones, weighted), at most 65,280 rows. leaf: the
+    trees begin at that level, so that only the root is above.
+    """
+    table = np.zeros((3, 1 << 16))
+    table[:, nodes["node"].to_numpy()] = nodes[["zeros", "ones", "weighted"]].to_numpy().T
+    out = []
+    if not leaf:
+        own = log_kt(table[0], table[1])
+        mixed = np.logaddexp(own, table[2]) - LOG2
+        out.append(((1 << 16) - 1, table[0], table[1], np.exp(own - LOG2 - mixed)))
+        table[2] = np.where(table[0] + table[1] > 0, mixed, 0)
+    root = table.reshape(3, 256, 256).sum(axis=1)
+    own = log_kt(root[0], root[1])
+    out.append((255, root[0], root[1], np.exp(own - LOG2 - (np.logaddexp(own, root[2]) - LOG2))))
+    return out
+
+
+def code_lengths(docs: DataFrame, depth: int = 4, chunk_chars: int = 16_000_000, group_grams: int = 1_000_000) -> DataFrame:
+    """(doc_id, n_bytes, bits, bits_per_byte).
+
+    depth: bytes of context, 1 to 6; chunk_chars: text of one chunk; group_grams: about so many n-grams are weighted in one Python group.
+    """
     if not 1 <= depth <= 6:
         raise ValueError("depth must be 1 to 6")
+    spark = docs.sparkSession
     total = docs.agg(F.sum(F.length("text"))).first()[0] or 0
     chunks = max(1, -(-total // chunk_chars))
-    keyed = docs.select((F.expr(HASH) % chunks).alias("chunk"), "doc_id", "text")
-
-    def count(key, rows):
+    # the one shuffle of texts: each chunk becomes one file, whose rows both passes read in a row
+    keyed = docs.select((F.expr(HASH) % chunks).cast("int").alias("chunk"), "doc_id", "text").repartitionById(chunks, "chunk")
+    texts = staged(keyed, "ctw-texts")
+
+    def runs(batches):
+        """(chunk, rows) in slices that lie in one chunk."""
+        for part in tx.slices(batches, "text"):
+            chunk = part.column("chunk").to_numpy()
+            edge = [0, *(np.flatnonzero(np.diff(chunk)) + 1).tolist(), len(chunk)]
+            for i, j in zip(edge, edge[1:]):
+                yield int(chunk[i]), part.slice(i, j - i)
+
+    def count(batches):
         tx.low_memory()
-        found, seen = [], 0
-        for part in tx.slices(rows.to_batches(), "text"):
-            code, n = np.unique(grams(part.column("text"), depth)[0], return_counts=True)
-            found.append((code, n))
-            seen += len(code)
+        now, found, seen = None, [], 0
+
+        def flush():
+            code, n = merged(found)
+            if len(code):
+                yield pa.RecordBatch.from_pydict({"chunk": pa.array(np.full(len(code), now), pa.int32()), "gram": pa.array(code.view(np.int64)), "n": pa.array(n)})
+
+        for chunk, part in runs(batches):
+            if chunk != now:
+                if found:
+                    yield from flush()
+                now, found, seen = chunk, [], 0
+            found.append(np.unique(grams(part.column("text"), depth)[0], return_counts=True))
+            seen += len(found[-1][0])
             if seen > 4_000_000:
-                found, seen = [merged(found)], 0
-        code, n = merged(found)
-        return pa.table({"chunk": pa.array(np.full(len(code), key[0].as_py()), pa.int64()), "gram": pa.array(code.view(np.int64)), "n": pa.array(n.astype(np.int64))})
-
-    def merged(found):
-        if not found:
-            return np.zeros(0, U64), np.zeros(0, np.int64)
-        code, of = np.unique(np.concatenate([c for c, _ in found]), return_inverse=True)
-        return code, np.bincount(of, weights=np.concatenate([n for _, n in found]), minlength=len(code)).astype(np.int64)
-
-    partial = staged(keyed.where("length(text) > 0").select("chunk", "text").groupBy("chunk").applyInArrow(count, "chunk bigint, gram bigint, n bigint"), "ctw-partial")
-    counts = staged(partial.groupBy("gram").agg(F.sum("n").alias("n")), "ctw-counts").withColumn("newest", F.shiftright("gram", 8).bitwiseAND(F.lit(255)))
+                found = [merged(found)]
+                seen = 0
+        if found:
+            yield from flush()
+
+    split = min(2, depth)  # newest context bytes by which n-grams are grouped
+    partial = staged(texts.select("chunk", "text").mapInArrow(count, "chunk int, gram bigint, n bigint"), "ctw-partial")
+    counts = staged(partial.groupBy("gram").agg(F.sum("n").alias("n")), "ctw-counts")
+    groups = max(1, -(-counts.count() // group_grams))
+    lead = F.shiftright("gram", 8).bitwiseAND(F.lit((1 << (8 * split)) - 1))
+    counts = counts.withColumn("g", F.pmod(F.xxhash64(lead), F.lit(groups)))
 
     def ordered(rows):
         gram, n = rows.column("gram").to_numpy().view(U64), rows.column("n").to_numpy()
@@ -159,47 +208,53 @@ def code_lengths(docs: DataFrame, depth: int = 4, chunk_chars: int = 16_000_000)
 
     def tops(key, rows):
         tx.low_memory()
-        node, _, zeros, ones, _, weighted = Tree(*ordered(rows), depth).levels[1]
-        return pa.table({"prefix": pa.array((node & U64(255)).astype(np.int64)), "zeros": pa.array(zeros), "ones": pa.array(ones), "weighted": pa.array(weighted)})
+        node, _, zeros, ones, _, weighted = Tree(*ordered(rows), depth, split).levels[split]
+        return pa.table({"node": pa.array((node & U64(0xFFFF)).astype(np.int64)), "zeros": pa.array(zeros), "ones": pa.array(ones), "weighted": pa.array(weighted)})
 
     top = (
-        counts.groupBy("newest").applyInArrow(tops, "prefix bigint, zeros double, ones double, weighted double")
-        .groupBy("prefix").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("weighted").alias("below"))
+        counts.groupBy("g").applyInArrow(tops, "node bigint, zeros double, ones double, weighted double")
+        .groupBy("node").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("weighted").alias("weighted"))
     ).toPandas()
-    root = np.zeros((3, 256))
-    root[:, top["prefix"].to_numpy()] = top[["zeros", "ones", "below"]].to_numpy().T
-    own = log_kt(root[0], root[1])
-    stay = np.exp(own - LOG2 - (np.logaddexp(own, root[2]) - LOG2))
+    upper = spark.sparkContext.broadcast(head(top, split == 1))
 
     def lengths(key, rows):
         tx.low_memory()
         gram, n = ordered(rows)
-        q = Tree(gram, n, depth).predict()
-        byte = (gram & U64(255)).astype(np.int64)
+        q = Tree(gram, n, depth, split).predict()
+        byte, newest = (gram & U64(255)).astype(np.int64), (gram & U64(0xFF00)).astype(np.int64)
         bits = np.zeros(len(gram))
         for k in range(8):
-            prefix, bit = (1 << k) | (byte >> (8 - k)), (byte >> (7 - k)) & 1
-            kt = (np.where(bit == 1, root[1][prefix], root[0][prefix]) + 0.5) / (root[0][prefix] + root[1][prefix] + 1.0)
-            bits -= np.log2(stay[prefix] * kt + (1 - stay[prefix]) * q[k])
+            node, bit, p = newest | (1 << k) | (byte >> (8 - k)), (byte >> (7 - k)) & 1, q[k]
+            for mask, zeros, ones, stay in upper.value:
+                at = node & mask
+                p = stay[at] * (np.where(bit == 1, ones[at], zeros[at]) + 0.5) / (zeros[at] + ones[at] + 1.0) + (1 - stay[at]) * p
+            bits -= np.log2(p)
         return pa.table({"gram": pa.array(gram.view(np.int64)), "bits": pa.array(bits.astype(np.float32))})
 
-    bits = counts.groupBy("newest").applyInArrow(lengths, "gram bigint, bits float")
-    known = staged(partial.select("chunk", "gram").join(bits, "gram"), "ctw-bits")
+    bits = counts.groupBy("g").applyInArrow(lengths, "gram bigint, bits float")
+    path = fresh_path(spark, "ctw-bits")
+    known = partial.select("chunk", "gram").join(bits, "gram")
+    known.repartitionById(chunks, "chunk").write.partitionBy("chunk").parquet(path)
+
+    def score(batches):
+        from pyarrow import dataset, fs
 
-    def score(left, right):
         tx.low_memory()
-        find = Lookup(right.column("gram").to_numpy().view(U64), right.column("bits").to_numpy())
-        ids, size, cost = [], [], []
-        for part in tx.slices(left.to_batches(), "text"):
+        system, root = fs.FileSystem.from_uri(path)
+        now, find = None, None
+        for chunk, part in runs(batches):
             code, doc = grams(part.column("text"), depth)
-            ids.append(part.column("doc_id"))
-            size.append(np.bincount(doc, minlength=part.num_rows))
-            cost.append(np.bincount(doc, weights=find(code), minlength=part.num_rows))
-        n, b = np.concatenate(size or [np.zeros(0, np.int64)]), np.concatenate(cost or [np.zeros(0)])
-        none = n == 0
-        return pa.table({
-            "doc_id": pa.chunked_array(ids, pa.int64()), "n_bytes": pa.array(n, pa.int64()),
-            "bits": pa.array(b, mask=none), "bits_per_byte": pa.array(b / np.maximum(n, 1), mask=none),
-        })
-
-    return keyed.groupBy("chunk").cogroup(known.groupBy("chunk")).applyInArrow(score, "doc_id bigint, n_bytes bigint, bits double, bits_per_byte double")
+            if len(code) and chunk != now:
+                find = None
+                right = dataset.dataset(f"{root}/chunk={chunk}", filesystem=system, format="parquet", exclude_invalid_files=True).to_table(columns=["gram", "bits"])
+                gram, value = right.column("gram").to_numpy().view(U64), right.column("bits").to_numpy()
+                one, at = np.unique(gram, return_index=True)  # a chunk that two tasks counted stands twice
+                now, find = chunk, Lookup(one, value[at])
+            n = np.bincount(doc, minlength=part.num_rows)
+            b = np.bincount(doc, weights=find(code), minlength=part.num_rows) if len(code) else np.zeros(part.num_rows)
+            none = n == 0
+            yield pa.RecordBatch.from_arrays(
+                [part.column("doc_id"), pa.array(n, pa.int64()), pa.array(b, mask=none), pa.array(b / np.maximum(n, 1), mask=none)], ["doc_id", "n_bytes", "bits", "bits_per_byte"]
+            )
+
+    return texts.mapInArrow(score, "doc_id bigint, n_bytes bigint, bits double, bits_per_byte double")

@@ -163,9 +163,10 @@ def brute_ctw(texts, depth):
 def test_ctw_equals_brute_force(spark):
     texts = ["abracadabra", "abrakadabra é", "zzzzzz", "ab"]
     df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id bigint, text string")
-    got = {r["doc_id"]: r for r in rows(ctw.code_lengths(df, depth=2, chunk_chars=12))}
-    for i, want in enumerate(brute_ctw(texts, 2)):
-        assert got[i]["bits"] == pytest.approx(want, rel=1e-4) and got[i]["n_bytes"] == len(texts[i].encode())
+    for depth in (2, 3, 1):
+        got = {r["doc_id"]: r for r in rows(ctw.code_lengths(df, depth=depth, chunk_chars=12, group_grams=5))}
+        for i, want in enumerate(brute_ctw(texts, depth)):
+            assert got[i]["bits"] == pytest.approx(want, rel=1e-4) and got[i]["n_bytes"] == len(texts[i].encode())
 
 
 def test_ctw_odd_cases(spark):
@@ -374,6 +375,19 @@ def test_probability_jaccard_and_estimate():
         assert (who[i] == who[j]).mean() == pytest.approx(want, abs=0.04)
 
 
+def test_registers_that_differ_are_counted_from_four_bits_each(spark):
+    rng = np.random.default_rng(4)
+    who = rng.integers(0, 1 << 60, (40, 72), dtype=np.uint64)
+    for i in range(1, 40):
+        who[i, : 2 * i - 6 if i > 3 else 0] = who[0, : 2 * i - 6 if i > 3 else 0]
+    t = pa.table({"i": list(range(40)), "sig": neardup.packed(who)})
+    df = spark.createDataFrame(t)
+    got = {r["i"]: r["d"] for r in rows(df.join(df.where("i = 0").select(F.col("sig").alias("other")), how="cross").select("i", neardup.differing("sig", "other", 5).alias("d")))}
+    nib = tx.mix(who + np.uint64(0x2545F4914F6CDD1D)) >> np.uint64(60)
+    assert got == {i: int((nib[i] != nib[0]).sum()) for i in range(40)}
+    assert neardup.most_differing(72, 0.5) == 50
+
+
 def test_signature_is_independent_of_batch():
     texts = ["a b c d e f g", "x y", "a b c d e f q r s"]
     whole = neardup.signatures(*neardup.weighted(pa.array(texts), 3), 3, 72)
