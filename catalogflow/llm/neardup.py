@@ -8,8 +8,9 @@ estimates probability Jaccard. ``bands`` bands of ``rows`` registers make bucket
 Pairs: exact copies are collapsed first by a digest of the text, so that a group of any size costs one member. Within a
 bucket each member is compared with the bucket's smallest id; those that fail are compared with all other members of the
 bucket, whether these failed or passed, but for pairs that the first comparisons of any bucket have already put in one group.
-So no partner is capped and each pair of a bucket is verified or in one group. Every pair is verified by exact probability
-Jaccard on the texts. Groups are the connected components of the verified pairs.
+So no partner is capped: each pair of a bucket is in one group, or verified by exact probability Jaccard on the texts, or its registers
+differ in more than a pair at the threshold would but for 3.5 standard deviations (about 1 in 3,000 of such pairs, and ever fewer above
+it), which is told from four bits of each register before any text is moved. Groups are the connected components of the verified pairs.
 
 Defined cases: null or empty texts, or texts without letters and digits, resemble nothing but are copies of the same
 text (null apart from empty); shorter texts than ``k`` words are one shingle. Rows without ``doc_id`` stay alone
@@ -22,7 +23,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from catalogflow.llm import text as tx
@@ -95,23 +96,49 @@ def probability_jaccard(a_item, a_weight, b_item, b_weight) -> float:
     return float((1.0 / (below[both] / x[both] + above[both] / y[both])).sum())
 
 
+def packed(who: np.ndarray) -> pa.StructArray:
+    """Four bits of each register, sixteen registers to a number: (s0, s1, ...)."""
+    n, m = who.shape
+    words = -(-m // 16)
+    bits = np.zeros((n, words * 16), U64)
+    bits[:, :m] = tx.mix(who + U64(0x2545F4914F6CDD1D)) >> U64(60)
+    bits = np.bitwise_or.reduce(bits.reshape(n, words, 16) << (U64(4) * np.arange(16, dtype=U64)), axis=2).view(np.int64)
+    return pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(bits[:, i])) for i in range(words)], [f"s{i}" for i in range(words)])
+
+
+def differing(a: str, b: str, words: int) -> Column:
+    """How many registers differ between two columns of ``packed``; all in generated code."""
+    def one(i):
+        x = f"({a}.s{i} ^ {b}.s{i})"
+        return f"bit_count(({x} | shiftrightunsigned({x}, 1) | shiftrightunsigned({x}, 2) | shiftrightunsigned({x}, 3)) & 1229782938247303441L)"
+
+    return F.expr(" + ".join(one(i) for i in range(words)))
+
+
+def most_differing(m: int, threshold: float, deviations: float = 3.5) -> int:
+    """Registers of ``m`` that differ at most in a pair at the threshold, but for chance beyond so many standard deviations."""
+    return int(np.floor(m * (1 - threshold) + deviations * np.sqrt(m * threshold * (1 - threshold))))
+
+
 def _bands(docs: DataFrame, k: int, bands: int, rows: int) -> DataFrame:
-    """(doc_id, digest, bands): one row per input row; bands is null where there is no shingle."""
+    """(doc_id, digest, bands, sig): one row per input row; bands is null where there is no shingle."""
     m = bands * rows
+    words = -(-m // 16)
 
     def run(batches):
         tx.low_memory()
         for part in tx.slices(batches, "text"):
             d, item, n = weighted(part.column("text"), k)
-            who = band_hashes(signatures(d, item, n, part.num_rows, m), bands, rows).view(np.int64)
+            registers = signatures(d, item, n, part.num_rows, m)
+            who = band_hashes(registers, bands, rows).view(np.int64)
             some = np.zeros(part.num_rows, bool)
             some[d] = True
             at = np.concatenate([[0], np.cumsum(np.where(some, bands, 0))]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(at), pa.array(who[some].ravel()), mask=pa.array(~some) if not some.all() else None)
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("digest"), lists], ["doc_id", "digest", "bands"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("digest"), lists, packed(registers)], ["doc_id", "digest", "bands", "sig"])
 
     src = docs.select("doc_id", F.expr(DIGEST).alias("digest"), "text")
-    return src.mapInArrow(run, "doc_id bigint, digest string, bands array<bigint>")
+    return src.mapInArrow(run, f"doc_id bigint, digest string, bands array<bigint>, sig struct<{', '.join(f's{i}: bigint' for i in range(words))}>")
 
 
 def _verify(pairs: DataFrame, docs: DataFrame, k: int, threshold: float, small: int) -> DataFrame:
@@ -145,9 +172,11 @@ def _verify(pairs: DataFrame, docs: DataFrame, k: int, threshold: float, small:
     return both.mapInArrow(run, "a bigint, b bigint, score double")
 
 
-def near_pairs(light: DataFrame, docs: DataFrame, k: int, threshold: float, small: int) -> DataFrame:
-    """Verified pairs (a, b, score) among representatives, enough to connect each group; light: (doc_id, bands)."""
-    spark = docs.sparkSession
+def near_pairs(light: DataFrame, docs: DataFrame, k: int, threshold: float, small: int, registers: int = 0) -> DataFrame:
+    """Verified pairs (a, b, score) among representatives, enough to connect each group.
+
+    light: (doc_id, bands), and sig, of so many ``registers``, by which hopeless pairs are left out; with 0 all pairs are verified.
+    """
     bucket = Window.partitionBy("band", "h")
     rows = (
         light.where("bands is not null").select(F.col("doc_id").alias("b"), F.posexplode("bands").alias("band", "h"))
@@ -155,18 +184,23 @@ def near_pairs(light: DataFrame, docs: DataFrame, k: int, threshold: float, smal
     )
     rows = staged(rows, "nd-buckets")
     stars = rows.select("a", "b").distinct()
-    first = staged(_verify(stars, docs, k, threshold, small), "nd-first")
+    likely = stars
+    if registers:
+        alike = differing("sig", "other", -(-registers // 16)) <= most_differing(registers, threshold)
+        sig = light.select(F.col("doc_id").alias("b"), "sig")
+        likely = stars.join(sig, "b").join(sig.select(F.col("b").alias("a"), F.col("sig").alias("other")), "a").where(alike).select("a", "b")
+    first = staged(_verify(likely, docs, k, threshold, small), "nd-first")
     linked = connected_groups(first).withColumnRenamed("id", "b")
     members = (
         rows.join(first.select("a", "b", F.lit(True).alias("ok")), ["a", "b"], "left").join(linked, "b", "left")
         .select("band", "h", "b", F.coalesce("group_id", "b").alias("g"), F.col("ok").isNull().alias("failed"))
     )
-    members = staged(members, "nd-members")
-    failed = members.where("failed").select("band", "h", F.col("b").alias("c"), F.col("g").alias("cg"))
+    members = staged(members.join(sig, "b") if registers else members, "nd-members")
+    failed = members.where("failed").select("band", "h", F.col("b").alias("c"), F.col("g").alias("cg"), *([F.col("sig").alias("other")] if registers else []))
     # failed with failed once, failed with passed always; never two that are in one group already
+    others = failed.join(members, ["band", "h"]).where("cg <> g and (not failed or c < b)")
     others = (
-        failed.join(members, ["band", "h"]).where("cg <> g and (not failed or c < b)")
-        .select(F.least("b", "c").alias("a"), F.greatest("b", "c").alias("b")).distinct()
+        (others.where(alike) if registers else others).select(F.least("b", "c").alias("a"), F.greatest("b", "c").alias("b")).distinct()
         .join(stars, ["a", "b"], "left_anti")
     )
     others = staged(others, "nd-rest")
@@ -183,10 +217,10 @@ def near_duplicate_groups(docs: DataFrame, k: int = 3, threshold: float = 0.5, b
     """
     light = staged(_bands(docs, k, bands, rows), "nd-light")
     named = light.where("doc_id is not null")
-    one = named.groupBy("doc_id").agg(F.min(F.struct("digest", "bands")).alias("x")).select("doc_id", "x.*")
-    texts = one.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.min("bands").alias("bands"))
-    texts = staged(texts, "nd-texts")
-    pairs = near_pairs(texts.select(F.col("rep").alias("doc_id"), "bands"), docs.where("doc_id is not null"), k, threshold, small)
+    one = named.groupBy("doc_id").agg(F.min(F.struct("digest", "bands", "sig")).alias("x")).select("doc_id", "x.*")
+    texts = one.groupBy("digest").agg(F.min(F.struct("doc_id", "bands", "sig")).alias("x"), F.count("*").alias("copies"))
+    texts = staged(texts.select("digest", F.col("x.doc_id").alias("rep"), "copies", "x.bands", "x.sig"), "nd-texts")
+    pairs = near_pairs(texts.select(F.col("rep").alias("doc_id"), "bands", "sig"), docs.where("doc_id is not null"), k, threshold, small, bands * rows)
     groups = connected_groups(pairs)
     labelled = texts.join(groups, F.col("rep") == F.col("id"), "left").select("digest", "copies", F.coalesce("group_id", "rep").alias("group_id"))
     found = one.select("doc_id", "digest").join(labelled, "digest").select("doc_id", "group_id", F.col("copies").cast("bigint"), (F.col("doc_id") == F.col("group_id")).alias("kept"))
