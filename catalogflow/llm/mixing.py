@@ -83,11 +83,10 @@ def thresholds(light: DataFrame, limits: DataFrame) -> DataFrame:
             hist.where("upto > left").groupBy("source", "level")
             .agg(F.min("bucket").alias("bucket"), F.min_by(F.col("left") - (F.col("upto") - F.col("t")), "bucket").alias("rest"))
         )
-        step = front.join(hit, ["source", "level"], "left")
+        step = staged(front.join(hit, ["source", "level"], "left"), "mix-step")
         # no bucket overflows: everything up to the end of this range fits
         ended = step.where("bucket is null").select("source", "level", (F.col("low") + F.lit(width - 1)).alias("threshold"))
         go = step.where("bucket is not null").select("source", "level", F.col("rest").alias("left"), (F.col("low") + F.col("bucket") * F.lit(1 << shift)).alias("low"))
-        go, ended = staged(go, "mix-front"), staged(ended, "mix-ended")
         done = ended if done is None else done.union(ended)
         front = go
         if front.isEmpty():
