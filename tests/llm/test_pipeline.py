@@ -3,6 +3,7 @@
 from collections import Counter
 
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from catalogflow.llm import queries
@@ -35,3 +36,26 @@ def test_stages_on_empty_and_odd_tables(spark, sf, stage):
     assert stage(spark, docs.where("false"), sf).count() == 0
     nulls = spark.createDataFrame([(None, None, None, None, None), (1, None, "en", "a", 0), (2, "", "en", None, 0)], docs.schema)
     assert stage(spark, docs.where("doc_id < 20").unionByName(nulls), sf).count() > 0
+
+
+def test_stages_on_long_texts_ties_repeated_rows_and_clashing_columns(spark, sf):
+    """Every column of the operators' own names comes back unchanged; equal rows are treated alike."""
+    names = ["digest", "h", "level", "threshold", "mix_cut", "nd_rank", "group_id", "kept", "copies", "rep", "bands", "li_pred", "tokens", "part", "n"]
+    docs = table(spark, sf, "documents").where("doc_id < 40")
+    for i, n in enumerate(names):
+        docs = docs.withColumn(n, F.lit(i).cast("bigint"))
+    long = " ".join(f"the word{i % 999} and of that" for i in range(40_000))
+    own = ",".join(str(i) for i in range(len(names)))
+    more = spark.createDataFrame([(7000, long, "en", "a", len(long)), (7000, long, "en", "a", len(long)), (7001, long, "en", None, len(long)), (None, "the cat and the dog of that man", None, "a", 31)], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    docs = staged(docs.unionByName(more.selectExpr("*", *[f"cast({v} as bigint) {n}" for v, n in zip(own.split(","), names)])), "odd")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = staged(stage(spark, docs, sf), "odd")
+        got = out.collect()
+        assert out.columns == docs.columns and got and all([r[n] for n in names] == list(range(len(names))) for r in got)
+        docs = out
+        if name == "near_duplicates":
+            ids = Counter(r["doc_id"] for r in got)
+            assert ids[7000] == 1 and ids[7001] == 0 and ids[None] == 1
+            unmixed = out
+    windows = corpus_pipeline.STAGES[-1][1](spark, unmixed, sf).toPandas()
+    assert windows[windows["doc_id"] == 7000]["tokens"].sum() == 200_000
