@@ -158,19 +158,9 @@ def plan_conversations(n_shot_prompts: int, n_items: int, max_prompts: int = 10)
 
 
 def condense(docs: DataFrame, max_chars: int) -> DataFrame:
-    """(doc_id, text): the sentences with most words of more than four letters until the budget is full, in their own order; ties: earlier first."""
-    s = docs.where(F.length("text") > max_chars).select("doc_id", F.posexplode(F.split("text", "[.]")).alias("i", "s")).where("trim(s) <> ''")
-    s = s.withColumn("w", F.size(F.filter(tokens("s"), lambda t: F.length(t) > 4)))
-    run = Window.partitionBy("doc_id").orderBy(F.desc("w"), "i").rowsBetween(Window.unboundedPreceding, 0)
-    kept = s.withColumn("c", F.sum(F.length("s") + 1).over(run)).where(F.col("c") <= max_chars)
-    cut = kept.groupBy("doc_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("i", "s"))), lambda x: x["s"]), ".").alias("text"))
-    return cut.union(docs.where(F.length("text") <= max_chars).select("doc_id", "text"))
+    """(doc_id, text, cut) for every row: the sentences with most words of more than four letters that fit in the budget, in their own order.
 
-
-def condense_whole(docs: DataFrame, max_chars: int) -> DataFrame:
-    """(doc_id, text, cut) for every row: ``condense`` that passes over sentences that don't fit and goes on with later ones.
-
-    Where none fits, the best one is cut at a word border (inside the word, if it is longer than the budget) and ``cut`` is true.
+    Sentences are ranked (ties: earlier first); those that don't fit any more are passed over. Where none fits, the best one is cut at a word border (inside the word, if it is longer than the budget) and ``cut`` is true.
     Null texts stay null; a longer text of nothing but full stops and blanks becomes ''. No shuffle.
     """
     s = F.transform(F.split("text", "[.]"), lambda s, i: F.struct((-F.size(F.filter(tokens(s), lambda t: F.length(t) > 4))).alias("w"), i.alias("i"), s.alias("s")))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
@@ -41,22 +41,42 @@ def owner_filter(updates: DataFrame, owners: DataFrame) -> DataFrame:
     return updates.join(owners, ["item_id", "producer"], "left_semi")
 
 
-def stream_load(updates: DataFrame, state_path: str, checkpoint: str, key: str = "item_id"):
-    """Run the stream of (item_id, body, digest, ts) that is there into a state table: newest per item wins, versions by batch.
+def stream_load(updates: DataFrame, state_path: str, checkpoint: str, key: str = "item_id", buckets: int = 64):
+    """Run the stream of (item_id, body, digest, ts) that is there into a state table: per item the row with the largest (ts, digest) wins.
 
-    A batch writes a new version below ``state_path`` from the previous one, so that repeating a batch gives the same version.
+    The state is ``buckets`` folders by a hash of the key. A batch reads and writes those only that it has items of, each as a new
+    version (v = batch), so that late rows never replace newer ones and repeating a batch gives the same version; ``read_state`` takes the
+    newest version of each bucket.
     """
     def one(batch: DataFrame, number: int) -> None:
         spark = batch.sparkSession
-        newest = batch.withColumn("r_", F.row_number().over(Window.partitionBy(key).orderBy(F.desc("ts"), F.desc("digest")))).where("r_ = 1").drop("r_")
-        if number > 0:
-            old = spark.read.schema(batch.schema).parquet(f"{state_path}/v={number - 1}")
-            newest = old.join(newest.select(key), key, "left_anti").unionByName(newest)
-        newest.write.mode("overwrite").parquet(f"{state_path}/v={number}")
+        new = batch.withColumn("bucket", F.pmod(F.xxhash64(key), F.lit(buckets)).cast("int"))
+        touched = [r["bucket"] for r in new.select("bucket").distinct().collect()]  # at most ``buckets``
+        old = read_state(spark, state_path, batch.schema, before=number)
+        both = new if old is None else new.unionByName(old.where(F.col("bucket").isin(touched)))
+        best = both.groupBy(key).agg(F.max_by(F.struct(*both.columns), F.struct("ts", "digest")).alias("x")).select("x.*")
+        best.write.mode("overwrite").partitionBy("bucket").parquet(f"{state_path}/v={number}")
 
     return updates.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def read_state(spark, state_path: str, schema, before: int | None = None) -> DataFrame | None:
+    """The state's rows with their bucket: of each bucket the newest version (below ``before``); None where there is no version yet."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(state_path)
+    system = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    names = [f.getPath().getName() for f in system.listStatus(path)] if system.exists(path) else []
+    versions = sorted(int(n[2:]) for n in names if n.startswith("v=") and (before is None or int(n[2:]) < before))
+    newest: dict[str, int] = {}
+    for v in versions:
+        for f in system.listStatus(spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{state_path}/v={v}")):
+            if f.getPath().getName().startswith("bucket="):
+                newest[f.getPath().getName()] = v
+    if not newest:
+        return None
+    full = schema.fromDDL(", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema.fields) + ", bucket int")
+    return spark.read.schema(full).option("basePath", state_path).parquet(*[f"{state_path}/v={v}/{b}" for b, v in newest.items()]).select(*full.names)
+
+
 def enrich(items: DataFrame, related: DataFrame, on: str) -> DataFrame:
     """Items with the sorted list of what relates to them."""
     per = related.groupBy(on).agg(F.array_sort(F.collect_set("related")).alias("related"))

@@ -122,17 +122,18 @@ def grade_needle(answers: DataFrame) -> DataFrame:
 
 
 def find_passages(docs: DataFrame, bench: DataFrame, k: int = 5) -> DataFrame:
-    """(doc_id, item_id, pos, quartile) of passages that stand in documents word for word.
+    """(doc_id, item_id, pos, quartile) of passages that stand in documents letter for letter, wherever they begin or end.
 
-    Candidates share the passage's first k words. Hashes of word runs, without texts, meet the passages' seeds; only documents with a
-    hit are read again for the substring search. Passages shorter than k words are compared directly with every document.
+    The first and last word of a passage may be parts of longer words in a document, so candidates share the k words after the first.
+    Hashes of word runs, without texts, meet the passages' seeds; only documents with a hit are read again for the substring search.
+    Passages without k inner words are compared directly with every document, in blocks of documents and of passages.
     """
-    p = bench.select("item_id", F.col("text").alias("passage"), tokens().alias("w"))
-    p = p.select("item_id", "passage", F.when(F.size("w") >= k, F.xxhash64(F.slice("w", 1, k))).alias("seed")).where("passage <> ''")
+    p = bench.select("item_id", F.col("text").alias("passage"), tokens().alias("w")).where("passage <> ''")
+    p = p.select("item_id", "passage", F.when(F.size("w") >= k + 2, F.xxhash64(F.slice("w", 2, k))).alias("seed"))
     runs = docs.select("doc_id", F.explode(shingles(tokens(), k)).alias("seed"))
     near = runs.join(p.where("seed is not null").select("item_id", "seed"), "seed").select("doc_id", "item_id").distinct()
     near = near.join(p.select("item_id", "passage"), "item_id").join(docs.select("doc_id", "text"), "doc_id")
-    short = docs.select("doc_id", "text").crossJoin(F.broadcast(p.where("seed is null")))
+    short = docs.select("doc_id", "text").crossJoin(p.where("seed is null").select("item_id", "passage"))
     both = near.select("doc_id", "text", "item_id", "passage").union(short.select("doc_id", "text", "item_id", "passage"))
     pos = F.instr("text", F.col("passage"))
     return both.withColumn("pos", pos).where("pos > 0").select("doc_id", "item_id", "pos", F.expr("cast(least(4, 1 + (4 * (pos - 1)) div length(text)) as int)").alias("quartile"))

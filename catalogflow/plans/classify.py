@@ -136,17 +136,19 @@ def swap_plan(spark, sf):
     return C.swap_plan(_sets(spark, sf))
 
 
-@query(f"""with s as (select doc_id, unnest(range(1, len(l) + 1)) i, l from (select doc_id, string_split(text, '.') l from documents where length(text) > 15000)), t as (select doc_id, i, l[i] s from s where trim(l[i]) <> ''),
-w as (select *, len(list_filter(list_filter(string_split_regex(lower(s), '[^a-zà-ÿß]+'), lambda t: t <> ''), lambda t: length(t) > 4)) w from t), r as (select *, sum(length(s) + 1) over (partition by doc_id order by w desc, i rows unbounded preceding) c from w),
-k as (select doc_id, string_agg(s, '.' order by i) text from r where c <= 15000 group by 1 union all select doc_id, text from documents where length(text) <= 15000)
-select doc_id, length(text) chars, md5(text) digest from k""")
-def condense_text(spark, sf):
-    return C.condense(_docs(spark, sf), C.BUDGET).select("doc_id", F.length("text").cast("bigint").alias("chars"), F.md5("text").alias("digest"))
+_LONG = "len(list_filter(list_filter(string_split_regex(lower({0}), '[^a-zà-ÿß]+'), lambda t: t <> ''), lambda t: length(t) > 4))"
 
 
-@query()
-def condense_text_whole(spark, sf):
-    return C.condense_whole(_docs(spark, sf), C.BUDGET).select("doc_id", F.length("text").cast("bigint").alias("chars"), F.md5("text").alias("digest"), "cut")
+@query(f"""with recursive d as (select row_number() over () k, doc_id, text from documents), s as (select k, unnest(string_split(text, '.')) s, unnest(range(1, len(string_split(text, '.')) + 1)) i from d where length(text) > {C.BUDGET}),
+r as (select k, s, i, row_number() over (partition by k order by {_LONG.format('s')} desc, i) r from s where trim(s) <> ''),
+walk as (select k, r, i, s, length(s) + 1 <= {C.BUDGET} took, case when length(s) + 1 <= {C.BUDGET} then length(s) + 1 else 0 end used from r where r = 1 union all
+select n.k, n.r, n.i, n.s, used + length(n.s) + 1 <= {C.BUDGET}, case when used + length(n.s) + 1 <= {C.BUDGET} then used + length(n.s) + 1 else used end from walk w join r n on n.k = w.k and n.r = w.r + 1),
+whole as (select k, string_agg(s, '.' order by i) filter (where took) text, max(case when r = 1 then trim(s) end) best from walk group by 1),
+fit as (select k, coalesce(text, case when length(best) <= {C.BUDGET} then best when regexp_extract(substr(best, 1, {C.BUDGET + 1}), '(?s)^(.*)\\s', 1) <> '' then regexp_extract(substr(best, 1, {C.BUDGET + 1}), '(?s)^(.*)\\s', 1) else substr(best, 1, {C.BUDGET}) end) text, text is null cut from whole)
+select doc_id, length(x) chars, md5(x) digest, cut from (select doc_id, case when coalesce(length(d.text), 0) <= {C.BUDGET} then d.text else coalesce(f.text, '') end x, coalesce(cut, false) cut from d left join fit f using (k))""")
+def condense_text(spark, sf):
+    """Every document comes back, the long ones condensed to the budget."""
+    return C.condense(_docs(spark, sf), C.BUDGET).select("doc_id", F.length("text").cast("bigint").alias("chars"), F.md5("text").alias("digest"), "cut")
 
 
 _TEXT = "\n".join(f"[{d}] " + " / ".join(f"{x}: {C.DEFINITIONS.get(x, x)}" for x in ls) for d, ls in C.TX1.items())

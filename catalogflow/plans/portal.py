@@ -100,9 +100,11 @@ def stream_traffic(spark, sf):
     return S.finish(S.tumbling(S.event_stream(spark, sf)), "complete").withColumn("started", F.unix_micros("started"))
 
 
-@query()
+@query("""with e as (select *, row_number() over (partition by user_id order by ts, event_id) r from events), v as (select user_id, min(r) r from e where event_type = 'view' group by 1),
+c as (select user_id, min(e.r) r from e join v using (user_id) where event_type = 'click' and e.r > v.r group by 1), p as (select user_id, min(e.r) r from e join c using (user_id) where event_type = 'purchase' and e.r > c.r group by 1)
+select user_id, ((v.r is not null)::int + (c.r is not null)::int + (p.r is not null)::int)::int step from (select distinct user_id from events) left join v using (user_id) left join c using (user_id) left join p using (user_id)""")
 def stream_funnel(spark, sf):
-    return S.finish(S.funnel(S.event_stream(spark, sf)), "update")
+    return S.finish(S.funnel(S.event_stream(spark, sf)), "update", ["user_id"])
 
 
 @query("select event_id item_id, event_type body from (select *, row_number() over (partition by user_id order by ts desc, md5(event_id::varchar) desc) r from events) where r = 1")
@@ -111,8 +113,7 @@ def stream_load(spark, sf):
     src = S.event_stream(spark, sf).select("user_id", F.col("event_id").alias("item_id"), F.col("event_type").alias("body"), F.md5(F.col("event_id").cast("string")).alias("digest"), "ts")
     state = fresh_path(spark, "state")
     L.stream_load(src, state, fresh_path(spark, "state-check"), key="user_id").awaitTermination()
-    versions = spark.read.parquet(state)
-    return versions.where(F.col("v") == versions.agg(F.max("v")).first()[0]).select("item_id", "body")
+    return L.read_state(spark, state, src.schema).select("item_id", "body")
 
 
 SURVEY = "sv as (select c_mktsegment profession, cast(substr(o_orderpriority, 1, 1) as int) likelihood, l_returnflag artefact, case when l_linenumber % 6 = 0 then null else ceil(l_quantity / 5)::int end grade from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey)"

@@ -67,7 +67,6 @@ def op_join_interval(spark, sf):
 def op_join_asof(spark, sf):
     """The last purchase before each error: one window over the user's events in order, no pairs."""
     e = load(spark, sf, "events")
-    w = W.partitionBy("user_id").orderBy("ts").rangeBetween(W.unboundedPreceding, -1)
     us = e.withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
     w = W.partitionBy("user_id").orderBy("us").rangeBetween(W.unboundedPreceding, -1)
     last = F.max(F.when(F.col("event_type") == "purchase", F.struct("us", "event_id"))).over(w)
@@ -123,7 +122,7 @@ sql_query("op_topk_global", "select doc_id, n_chars from {documents} order by n_
 sql_query("op_topk_per_label", "select doc_id, lang, r from (select doc_id, lang, row_number() over (partition by lang order by n_chars desc, doc_id) as r from {documents}) where r <= 5", None, "documents")
 sql_query("op_limit_offset", "select doc_id, n_chars from {documents} order by n_chars desc, doc_id limit 20 offset 20", None, "documents")
 for _n, _op in (("union", "union"), ("intersect", "intersect"), ("except", "except"), ("intersect_all", "intersect all"), ("except_all", "except all")):
-    sql_query(f"op_set_{_n}", f"select p_brand, p_type from {{part}} where p_size <= 20 {_op} select p_brand, p_type from {{part}} where p_size > 20", None, "part")
+    sql_query(f"op_set_{_n}", f"select p_brand, p_type, p_size % 10 as size from {{part}} where p_size <= 20 {_op} select p_brand, p_type, p_size % 10 as size from {{part}} where p_size > 20", None, "part")
 sql_query("op_distinct", "select distinct lang, source from {documents}", None, "documents")
 
 
@@ -193,7 +192,7 @@ def op_posexplode(spark, sf):
 
 
 sql_query("op_subquery_scalar", "select doc_id, n_chars from {documents} where n_chars > (select 4 * avg(n_chars) from {documents})", None, "documents")
-sql_query("op_subquery_exists", "select c_custkey from {customer} where not exists (select 1 from {orders} where o_custkey = c_custkey)", None, "customer orders")
+sql_query("op_subquery_exists", "select c_custkey from {customer} where not exists (select 1 from {orders} where o_custkey = c_custkey and o_totalprice > 250000)", None, "customer orders")
 sql_query("op_subquery_correlated", "select doc_id, lang, n_chars from {documents} d where n_chars = (select max(n_chars) from {documents} e where e.lang = d.lang)", None, "documents")
 sql_query("op_cte", "with per as (select o_custkey, count(*) as n from {orders} group by o_custkey), hist as (select n, count(*) as customers from per group by n) select n, customers from hist", None, "orders")
 
@@ -279,9 +278,11 @@ def op_stream_session(spark, sf):
     return _micros(S.finish(S.session_counts(S.event_stream(spark, sf)), "complete"))
 
 
-@query("select distinct user_id, event_type from events")
+@query("select distinct event_id, user_id from events")
 def op_stream_dedup(spark, sf):
-    return S.finish(S.event_stream(spark, sf).select("user_id", "event_type").dropDuplicates(["user_id", "event_type"]))
+    """Events that arrive twice count once; state is dropped as the watermark passes."""
+    e = S.event_stream(spark, sf).select("event_id", "user_id", F.explode(F.array("ts", "ts")).alias("ts"))
+    return S.finish(e.withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"))
 
 
 @query("select event_id, c_mktsegment from events join customer on user_id = c_custkey")
@@ -289,12 +290,14 @@ def op_stream_join(spark, sf):
     return S.finish(S.event_stream(spark, sf).join(load(spark, sf, "customer"), F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment"))
 
 
-@query()
+@query("""with m as (select max(ts) filter (where event_id % 3 = 0) - interval 1 day early, max(ts) - interval 1 day final from events), e as (select date_trunc('day', ts) d, event_id % 3 b from events),
+t as (select d, count(*) n from e, m where b < 2 or d + interval 1 day > early group by 1) select epoch_us(d) started, n from t, m where d + interval 1 day <= final""")
 def op_stream_late_data(spark, sf):
-    """Events in shuffled order under a watermark: per batch of the stream, late ones are dropped, the rest is counted by window."""
+    """Three batches, by event number: of the third, what the first one's watermark closed in the second is dropped; open windows aren't given."""
     path = fresh_path(spark, "late")
     e = load(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    e.repartition(4, F.md5(F.col("event_id").cast("string"))).write.parquet(path)
+    for part in range(3):
+        e.where(F.col("event_id") % 3 == part).coalesce(1).write.mode("append").parquet(path)
     src = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(path)
     w = src.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("started"), "n")
-    return S.finish(w)
+    return _micros(S.finish(w))

@@ -24,17 +24,28 @@ def event_stream(spark, sf_dir: str, name: str = "events", files: int = 1) -> Da
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def finish(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run what is there to the end into a table in the shared folder and return it; complete mode keeps the last batch's table."""
+def finish(stream: DataFrame, mode: str = "append", keys: list[str] = ()) -> DataFrame:
+    """Run what is there to the end into a table in the shared folder and return it.
+
+    Complete mode keeps the last batch's table. Update mode needs ``keys``: each batch is kept as it is, under its number, and the
+    newest row of each key is returned.
+    """
+    if mode == "update" and not keys:
+        raise ValueError("update mode needs the keys of a row")
     spark = stream.sparkSession
     out, check = fresh_path(spark, "stream-out"), fresh_path(spark, "stream-check")
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", check).trigger(availableNow=True)
     if mode == "append":
         q = writer.format("parquet").option("path", out).start()
-    else:
+    elif mode == "complete":
         q = writer.foreachBatch(lambda b, n: b.write.mode("overwrite").parquet(out)).start()
+    else:
+        q = writer.foreachBatch(lambda b, n: b.write.mode("overwrite").parquet(f"{out}/batch_={n}")).start()
     q.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(out)
+    if mode != "update":
+        return spark.read.schema(stream.schema).parquet(out)
+    every = spark.read.parquet(out)
+    return every.groupBy(*keys).agg(F.max_by(F.struct(*stream.columns), "batch_").alias("x")).select("x.*")
 
 
 def tumbling(events: DataFrame, period: str = "1 day", slide: str | None = None) -> DataFrame:
@@ -46,21 +57,19 @@ def session_counts(events: DataFrame, gap: str = "6 hours") -> DataFrame:
     return events.withWatermark("ts", "10 minutes").groupBy("user_id", F.session_window("ts", gap).alias("s")).agg(F.count("*").alias("n")).select("user_id", F.col("s.start").alias("started"), "n")
 
 
-class FunnelSteps:
-    """How far each user came along view, click, purchase; state is one number per user, without pandas in the state path."""
-
-    order = {"view": 1, "click": 2, "purchase": 3}
+FUNNEL = {"view": 1, "click": 2, "purchase": 3}
 
 
 def funnel(events: DataFrame) -> DataFrame:
-    """(user_id, step): the furthest step of view -> click -> purchase reached in order, per user, with arbitrary state."""
-    order = FunnelSteps.order
+    """(user_id, step): the furthest step of view -> click -> purchase that a user reached in order; state is one number per user.
 
+    Events of a batch are taken in order of time and id; a batch's events come after all earlier batches'. Run it by
+    ``finish(..., "update", ["user_id"])``. (The newer state API needs a state store that not every session is started with.)
+    """
     def advance(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         step = state.get[0] if state.exists else 0
-        rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
-        for kind in rows["event_type"]:
-            if order.get(kind) == step + 1:
+        for kind in pd.concat(list(batches)).sort_values(["ts", "event_id"])["event_type"]:
+            if FUNNEL.get(kind) == step + 1:
                 step += 1
         state.update((step,))
         yield pd.DataFrame({"user_id": [key[0]], "step": [step]})

@@ -1,6 +1,7 @@
 """Worked examples and invariants of the method's own operators."""
 
 import itertools
+from datetime import datetime
 
 import pytest
 from hypothesis import given
@@ -17,7 +18,8 @@ from catalogflow.operators import metadata as MD
 from catalogflow.operators import metrics as M
 from catalogflow.operators import probe as P
 from catalogflow.operators.graph import connected_groups
-from catalogflow.session import table
+from catalogflow.session import fresh_path, table
+from catalogflow.streaming import traffic as S
 
 
 def rows(df):
@@ -299,9 +301,51 @@ def test_condense_loses_no_document(spark):
     long = "longest words " * 5
     data = [(1, f"{long}.small one. tiny"), (2, long), (3, None), (4, "short. text"), (5, "x" * 50), (6, ". " * 30), (7, "second alpha.b c d e f g h.greatest minds. some others")]
     docs = spark.createDataFrame(data, "doc_id bigint, text string")
-    got = {r[0]: r[1:] for r in rows(C.condense_whole(docs, 30))}
+    got = {r[0]: r[1:] for r in rows(C.condense(docs, 30))}
     assert got[1] == ("small one. tiny", False) and got[2] == ("longest words longest words", True)
     assert got[3] == (None, False) and got[4] == ("short. text", False) and got[5] == ("x" * 30, True) and got[6] == ("", False)
     assert got[7] == ("second alpha.greatest minds", False) and len(got) == 7
-    whole = {r[0] for r in rows(C.condense(docs, 30))}
-    assert not {1, 2, 3, 5} & whole  # the rule of condense_text's SQL
+
+
+def test_passages_may_begin_and_end_inside_words(spark):
+    docs = spark.createDataFrame([(1, "Superheart of the matter is here"), (2, "the heart of the matter is in one two three"), (3, "xone two three four five six sevenx y")], "doc_id bigint, text string")
+    bench = spark.createDataFrame([(1, "heart of the matter is"), (2, "one two three four five six seven"), (3, "heart of the matter is in one two three"), (4, ""), (5, None)], "item_id bigint, text string")
+    assert {(r["doc_id"], r["item_id"], r["pos"]) for r in P.find_passages(docs, bench).collect()} == {(1, 1, 6), (2, 1, 5), (3, 2, 2), (2, 3, 5)}
+
+
+def _streamed(spark, parts, schema):
+    """A stream that takes one part per batch, in order."""
+    import time
+
+    path = fresh_path(spark, "parts")
+    for part in parts:
+        spark.createDataFrame(part, schema).coalesce(1).write.mode("append").parquet(path)
+        time.sleep(0.02)
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+def test_funnel_keeps_users_of_all_batches(spark):
+    t = "2024-01-0{} 00:00:00".format
+    parts = [[(1, 1, t(1), "view"), (2, 2, t(1), "click")], [(3, 1, t(2), "click"), (4, 3, t(2), "view")], [(5, 4, t(3), "view")], [(6, 1, t(4), "purchase"), (7, 2, t(4), "view")]]
+    parts = [[(i, u, datetime.fromisoformat(x), k) for i, u, x, k in p] for p in parts]
+    got = S.finish(S.funnel(_streamed(spark, parts, "event_id bigint, user_id bigint, ts timestamp, event_type string")), "update", ["user_id"])
+    assert {tuple(r) for r in got.select("user_id", "step").collect()} == {(1, 3), (2, 1), (3, 1), (4, 1)}
+
+
+def test_stream_load_keeps_the_newest_across_batches(spark):
+    """A late, older row never replaces a newer one; batches write only the buckets that they touch."""
+    parts = [[(1, "new", "d9", 5), (2, "a", "d1", 1)], [(1, "old", "d1", 3), (2, "b", "d2", 2)], [(3, "c", "d1", 1), (1, "tie", "d8", 5)], [(1, "later", "d1", 6)]]
+    schema = "item_id bigint, body string, digest string, ts bigint"
+    state = fresh_path(spark, "state")
+    src = _streamed(spark, parts, schema)
+    L.stream_load(src, state, fresh_path(spark, "check"), buckets=8).awaitTermination()
+    got = {r["item_id"]: r["body"] for r in L.read_state(spark, state, src.schema).collect()}
+    assert got == {1: "later", 2: "b", 3: "c"}
+    assert {r["item_id"]: r["body"] for r in L.read_state(spark, state, src.schema, before=3).collect()} == {1: "new", 2: "b", 3: "c"}
+
+
+def test_groups_that_are_not_finished_are_never_returned(spark):
+    chain = spark.createDataFrame([(i, i + 1) for i in range(64)], "a bigint, b bigint")
+    with pytest.raises(RuntimeError):
+        connected_groups(chain, max_rounds=1)
+    assert {r["group_id"] for r in connected_groups(chain).collect()} == {0}
