@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from catalogflow.functions.text import CATALOG, tokens
+from catalogflow.operators.extract import text_elements
 from catalogflow.operators.metadata import VOTES, language_votes
+from catalogflow.session import staged
 
 #: domain -> labels; origin has two levels, written "inner, leaf".
 TX1 = {"origin": ["germanic, en", "germanic, de", "romance, fr", "romance, es"], "condition": ["clean", "noisy"], "conduct": ["civil", "abusive"]}
@@ -21,10 +23,10 @@ ORIGIN_OF = {"en": "germanic, en", "de": "germanic, de", "fr": "romance, fr", "e
 BUDGET = 15_000
 
 
-def expert_scores(docs: DataFrame, keep: list[str] = ()) -> DataFrame:
-    """(doc_id, domain, label, score 1..5): one expert for each domain scores all of its labels. One scan, no shuffle."""
-    d = language_votes(docs, keep_tokens=True)
+def expert_scores(docs: DataFrame, keep: list[str] = (), reasons: bool = False) -> DataFrame:
+    """(doc_id, domain, label, score 1..5): one expert for each domain scores all of its labels; with its reason if asked. One scan, no shuffle."""
     own = ABUSE.split()
+    d = language_votes(docs, more=tuple(own))
     d = d.withColumn("insults", F.size(F.filter("tok_", lambda t: t.isin(*own))))
     d = d.withColumn("sym_", F.expr("length(regexp_replace(text, '[A-Za-zÀ-ÿ \\n.,]+', '')) / cast(greatest(length(text), 1) as double)"))
     symbols = F.col("sym_")
@@ -32,9 +34,18 @@ def expert_scores(docs: DataFrame, keep: list[str] = ()) -> DataFrame:
     d = d.withColumn("abusive", F.when(F.col("insults") == 0, 1).when(F.col("insults") == 1, 4).otherwise(5))
     total = sum((F.col(f"v_{x}") for x in VOTES), F.lit(0))
     d = d.withColumn("all_", total)
-    row = lambda dom, label, score: F.struct(F.lit(dom).alias("domain"), F.lit(label).alias("label"), score.cast("int").alias("score"))
-    origin = [row("origin", ORIGIN_OF[x], F.when(F.col("all_") == 0, 1).otherwise(1 + F.least(F.lit(4), F.expr(f"(5 * v_{x}) div all_")))) for x in VOTES]
-    rest = [row("condition", "noisy", F.col("noisy")), row("condition", "clean", 6 - F.col("noisy")), row("conduct", "abusive", F.col("abusive")), row("conduct", "civil", 6 - F.col("abusive"))]
+
+    def row(domain, label, score, why):
+        return F.struct(F.lit(domain).alias("domain"), F.lit(label).alias("label"), score.cast("int").alias("score"), *([why.alias("reason")] if reasons else []))
+
+    text = lambda c: c.cast("string")
+    shared = F.concat(text(F.floor(symbols * 1000)), F.lit(" symbols in a thousand"))
+    insults = F.concat(text(F.col("insults")), F.lit(" insults"))
+    origin = [
+        row("origin", ORIGIN_OF[x], F.when(F.col("all_") == 0, 1).otherwise(1 + F.least(F.lit(4), F.expr(f"(5 * v_{x}) div all_"))), F.concat(text(F.col(f"v_{x}")), F.lit(" of "), text(F.col("all_")), F.lit(" frequent words")))
+        for x in VOTES
+    ]
+    rest = [row("condition", "noisy", F.col("noisy"), shared), row("condition", "clean", 6 - F.col("noisy"), shared), row("conduct", "abusive", F.col("abusive"), insults), row("conduct", "civil", 6 - F.col("abusive"), insults)]
     return d.select("doc_id", *keep, F.inline(F.array(*origin, *rest)))
 
 
@@ -54,7 +65,8 @@ def gold_labels(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def order_scores(lineitem: DataFrame, part: DataFrame) -> DataFrame:
     """(o, domain, label, score, gold) per order and type of part: score from the mean quantity, gold from the share in revenue."""
-    j = lineitem.select("l_orderkey", "l_partkey", "l_quantity", "l_extendedprice").join(part.select("p_partkey", "p_type"), F.col("l_partkey") == F.col("p_partkey"))
+    # spread by order once: of an order's lines hardly two have one type, so nothing is lost by not combining before
+    j = lineitem.select("l_orderkey", "l_partkey", "l_quantity", "l_extendedprice").join(part.select("p_partkey", "p_type"), F.col("l_partkey") == F.col("p_partkey")).repartition("l_orderkey")
     per = j.groupBy(F.col("l_orderkey").alias("o"), F.col("p_type").alias("label")).agg(F.avg("l_quantity").alias("q"), F.sum(F.col("l_extendedprice").cast("decimal(18,2)")).alias("rev"))
     domain = F.create_map(*[F.lit(x) for kv in TX2.items() for x in kv])
     out = per.withColumn("all_", F.sum("rev").over(Window.partitionBy("o"))).withColumn("score", F.least(F.lit(5), F.ceil(F.round(F.col("q") / 10, 9))).cast("int"))
@@ -119,14 +131,63 @@ def taxonomy_diff(old: DataFrame, new: DataFrame) -> DataFrame:
     return old.exceptAll(new).select(F.lit("removed").alias("change"), "domain", "label").union(new.exceptAll(old).select(F.lit("added").alias("change"), "domain", "label"))
 
 
+def item_json() -> Column:
+    """A JSON object of an item's name and description."""
+    return F.to_json(F.struct(F.coalesce("name", F.lit("")).alias("name"), F.coalesce("description", F.lit("")).alias("description")))
+
+
 def fewshot_prompts(docs: DataFrame, gold: DataFrame) -> DataFrame:
-    """(doc_id, prompt): a worked example with labels and a reason per label, which no answer is wanted for."""
-    reason = F.create_map(*[F.lit(x) for k, v in DEFINITIONS.items() for x in (k, v)])
-    lab = F.array_sort(F.collect_list("label"))
-    per = gold.groupBy("doc_id").agg(lab.alias("labels"))
-    why = F.array_join(F.transform("labels", lambda x: F.concat(F.lit("It is "), x, F.lit(" because the text is "), F.try_element_at(reason, x), F.lit("."))), " ")
-    j = docs.select("doc_id", "text").join(per, "doc_id")
-    return j.select("doc_id", F.concat(F.lit("== SHOT ==\n"), F.col("text"), F.lit("\nlabels: "), F.array_join("labels", " | "), F.lit("\nreason: "), why, F.lit("\n(for context only)")).alias("prompt"))
+    """(doc_id, prompt): a worked example, which no answer is wanted for: the item and its answer as JSON, with a reason per label.
+
+    A label's reason is a fixed expression, filled with what the domain's expert finds in the item.
+    """
+    defined = F.create_map(*[F.lit(x) for k, v in DEFINITIONS.items() for x in (k, v)])
+    found = expert_scores(docs, reasons=True).select("doc_id", "domain", "label", "reason")
+    why = F.concat(F.lit("It is "), F.col("label"), F.lit(" because the text is "), F.try_element_at(defined, F.col("label")), F.lit(": "), F.coalesce("reason", F.lit("no evidence")), F.lit("."))
+    per = gold.join(found, ["doc_id", "domain", "label"], "left").groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("label", why.alias("why")))).alias("x"))
+    answer = F.to_json(F.struct(F.transform("x", lambda e: e["label"]).alias("labels"), F.array_join(F.transform("x", lambda e: e["why"]), " ").alias("reason")))
+    j = text_elements(docs.select("doc_id", "text")).join(per, "doc_id")
+    return j.select("doc_id", F.concat_ws("\n", F.lit("== SHOT =="), item_json(), answer, F.lit("(for context only)")).alias("prompt"))
+
+
+def item_prompts(docs: DataFrame) -> DataFrame:
+    """(doc_id, prompt): an item to be labelled, as JSON, and what is wanted."""
+    ask = F.lit("Score every label of your domain from 1 to 5; give those of 4 and more, or the highest. Answer with one JSON object, a list of labels for each domain.")
+    return text_elements(docs.select("doc_id", "text")).select("doc_id", F.concat_ws("\n", F.lit("== ITEM =="), item_json(), ask).alias("prompt"))
+
+
+def run_classification(docs: DataFrame, gold: DataFrame, sets: DataFrame, labeller, shot_chars: int = 1_000, budget: int = BUDGET, max_prompts: int = 10) -> DataFrame:
+    """A whole labelling run: (fold, conv, turn, kind, prompt_no, doc_id, chars, prompts, raw).
+
+    Both roles of the sets: shots of one, items of the other. A conversation opens with the taxonomy, gives the packed shots and
+    then asks for items, of which as many conversations are made, as even as can be, as keep each within ``max_prompts`` (one item
+    each, where the shots alone fill it). Texts are condensed first, to ``shot_chars`` and to the ``budget`` of a prompt. ``labeller``
+    takes documents (doc_id, text) and gives (doc_id, raw) answers.
+    """
+    sets = staged(sets, "run-sets")
+    plan = swap_plan(sets).join(sets.select("doc_id", "pos"), "doc_id")
+    own = staged(docs.join(sets.select("doc_id"), "doc_id", "left_semi").select("doc_id", "text"), "run-items")
+    gold = gold.join(sets.select("doc_id"), "doc_id", "left_semi")
+    shot = fewshot_prompts(condense(own, shot_chars), gold).select("doc_id", F.length("prompt").cast("bigint").alias("chars"))
+    train = plan.where("role = 'train'").join(shot, "doc_id").select(F.col("fold").alias("grp"), F.col("pos").cast("bigint").alias("ord"), "chars")
+    packed = staged(pack_prompts(train, budget).groupBy(F.col("grp").alias("fold"), "prompt_no").agg(F.sum("chars").alias("chars")), "run-shots")
+    full = condense(own, budget).select("doc_id", "text")
+    ask = item_prompts(full).select("doc_id", F.length("prompt").cast("bigint").alias("chars"))
+    test = plan.where("role = 'test'").join(ask, "doc_id")
+    number = Window.partitionBy("fold")
+    # a run's sets are a few dozen items: these tables of counts are smaller still
+    size = packed.groupBy("fold").agg(F.max("prompt_no").alias("shots"))
+    item = test.withColumn("i", F.row_number().over(number.orderBy("pos", "doc_id"))).withColumn("n", F.count("*").over(number)).join(size, "fold")
+    item = item.withColumn("convs", F.expr(f"cast(ceil(n / greatest(1, {max_prompts - 1} - shots)) as bigint)")).withColumn("conv", F.expr("cast((i - 1) * convs div n as int)"))
+    item = staged(item, "run-turns").withColumn("turn", (F.row_number().over(Window.partitionBy("fold", "conv").orderBy("i")) + F.col("shots") + 1).cast("int"))
+    talks = item.select("fold", "conv").distinct()
+    head = taxonomy_prompt(docs.sparkSession, TX1, 1).select(F.length("prompt").cast("bigint").alias("chars"))
+    none = F.lit(None).cast("bigint").alias("doc_id")
+    first = talks.crossJoin(head).select("fold", "conv", F.lit(1).alias("turn"), F.lit("taxonomy").alias("kind"), none, "chars")
+    shots = talks.join(packed, "fold").select("fold", "conv", (F.col("prompt_no") + 1).cast("int").alias("turn"), F.lit("shots").alias("kind"), none, "chars")
+    items = item.select("fold", "conv", "turn", F.lit("item").alias("kind"), "doc_id", "chars")
+    out = first.union(shots).union(items).withColumn("prompts", F.count("*").over(Window.partitionBy("fold", "conv")))
+    return out.join(labeller(full), "doc_id", "left")
 
 
 def pack_prompts(shots: DataFrame, budget: int = BUDGET) -> DataFrame:

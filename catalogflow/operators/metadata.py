@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from catalogflow.functions.text import tokens
+from catalogflow.functions.text import TOKEN_SPLIT
 
 #: The fifteen core properties: name and whether an item must have it.
 PROPERTIES = {p: p in ("title", "description") for p in ("contributor", "coverage", "creator", "date", "description", "format", "identifier", "language", "publisher", "relation", "rights", "source", "subject", "title", "type")}
@@ -75,9 +75,13 @@ def translate_text(items: DataFrame, lexicon: dict[str, str], src: str = "es") -
     return items.withColumn("translated", F.when(own, new).otherwise(F.col("text"))).withColumn("replaced", F.when(own, hits).otherwise(0))
 
 
-def language_votes(docs: DataFrame, keep_tokens: bool = False) -> DataFrame:
-    """Adds v_<lang> (tokens among ten frequent words each), pred (ties: alphabetical; none without votes)."""
-    out = docs.withColumn("tok_", tokens())
+def language_votes(docs: DataFrame, more: tuple[str, ...] | None = None) -> DataFrame:
+    """Adds v_<lang> (tokens among ten frequent words each), pred (ties: alphabetical; none without votes).
+
+    Tokens pass once, against one set of all words; what is left is counted. With ``more`` words the list left is kept, as tok_.
+    """
+    every = sorted({w for ws in VOTES.values() for w in ws.split()} | set(more or ()))
+    out = docs.withColumn("tok_", F.filter(F.split(F.lower("text"), TOKEN_SPLIT), lambda t: t.isin(*every)))
     for lang, words in VOTES.items():
         own = words.split()
         out = out.withColumn(f"v_{lang}", F.size(F.filter("tok_", lambda t: t.isin(*own))))
@@ -87,4 +91,4 @@ def language_votes(docs: DataFrame, keep_tokens: bool = False) -> DataFrame:
     for x in order:
         pred = pred.when(F.col(f"v_{x}") == most, F.lit(x))
     out = out.withColumn("pred", pred).withColumn("votes", most)
-    return out if keep_tokens else out.drop("tok_")
+    return out if more else out.drop("tok_")

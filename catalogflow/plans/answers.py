@@ -8,8 +8,9 @@ from catalogflow.functions.text import sql_hash60
 from catalogflow.operators import answers as A
 from catalogflow.operators import classify as C
 from catalogflow.operators import metrics as M
-from catalogflow.plans.classify import GOLD, SCORES, _base, _gold, _labelled, measured
+from catalogflow.plans.classify import GOLD, RUN, SCORES, SETS, _gold, _labelled, _run, _sets
 from catalogflow.plans.registry import query
+from catalogflow.session import staged
 
 
 def _kinds() -> str:
@@ -64,7 +65,8 @@ flagged as (select model, run, doc_id, raw, count(*) over (partition by model, r
 
 
 def _answers(spark, sf):
-    return A.simulate_answers(C.select_labels(C.expert_scores(_labelled(spark, sf))))
+    """Written once: the texts are scored once, however many checks follow."""
+    return staged(A.simulate_answers(C.select_labels(C.expert_scores(_labelled(spark, sf)))), "answers")
 
 
 @query(f"with {HEAD} select model, run, doc_id, array_to_string(ks, '|') as keys, len({_VALS})::int n_values from par")
@@ -106,7 +108,7 @@ tot as (select model, run, round(avg(f1), 6) total_f1 from f group by 1, 2)"""
 def _compared(spark, sf):
     gold = _gold(spark, sf)
     answers = A.repetition_filter(_answers(spark, sf))
-    fixed = A.check_validity(A.repair(A.parse_answers(answers)))
+    fixed = staged(A.check_validity(A.repair(A.parse_answers(answers))), "answers-checked")
     good = fixed.where("not repeated and reason in ('none', 'incomplete', 'foreign label')")
     pred = A.answer_labels(good)
     gm = good.select("model", "run", "doc_id").join(gold, "doc_id")
@@ -125,10 +127,63 @@ def model_comparison(spark, sf):
     return out.select("model", "run", "n", "valid", F.round(F.col("made_up") / F.col("n"), 6).alias("made_up_rate"), F.expr("made_up / n > 0.5 or valid / n < 0.5").alias("discarded"), "total_f1")
 
 
-@query(f"with {COMPARED} select model, count(*) runs, round(avg(total_f1), 6) mean, round(max(total_f1) - min(total_f1), 6) spread, round(stddev_samp(total_f1), 6) sd from tot group by 1")
+TESTS = f"""{COMPARED}, {SETS.replace(GOLD + ',', '')}, m as (select c.model, c.run, dataset test, domain, count(*) items, avg(case when ng + nq = 0 then 1 when nq = 0 then 0 else nb / nq end) p, avg(case when ng + nq = 0 then 1 when ng = 0 then 0 else nb / ng end) r,
+avg(case when ng + nq = 0 then 1 else 2 * nb / (ng + nq) end) f1 from cnt c join sets using (doc_id) group by 1, 2, 3, 4),
+tt as (select model, test, run, avg(f1) total from m group by 1, 2, 3),
+k as (select w.model, dataset test, w.run, count(*) n, count(*) filter (where not repeated and reason in ('none', 'incomplete', 'foreign label')) valid, count(*) filter (where reason = 'foreign label') made_up from why w join flagged using (model, run, doc_id) join sets using (doc_id) group by 1, 2, 3)"""
+
+
+def _tests(spark, sf):
+    """Measures of every test: (model, test, run, domain, items, p, r, f1), totals, and counts of answers."""
+    fixed, scores = _compared(spark, sf)
+    sets = staged(_sets(spark, sf).select("doc_id", F.col("dataset").alias("test")), "answers-sets")
+    by = ["model", "test", "run"]
+    own = scores.join(sets, "doc_id")
+    per = staged(own.groupBy(*by, "domain").agg(F.count("*").alias("items"), *[F.avg(c).alias(c) for c in ("p", "r", "f1")]), "answers-tests")
+    totals = per.groupBy(*by).agg(F.avg("f1").alias("total"))
+    ok = F.expr("not repeated and reason in ('none', 'incomplete', 'foreign label')")
+    k = fixed.join(sets, "doc_id").groupBy(*by).agg(F.count("*").alias("n"), F.count_if(ok).alias("valid"), F.count_if(F.col("reason") == "foreign label").alias("made_up"))
+    return per, totals, k
+
+
+@query(f"""with {TESTS} select k.model, k.test, k.run, d.domain, coalesce(items, 0) items, round(p, 6) p, round(r, 6) r, round(f1, 6) f1, round(total, 6) total_f1, n, valid, made_up / n > 0.5 or valid / n < 0.5 discarded
+from k cross join (values ('origin'), ('condition'), ('conduct')) d(domain) left join m using (model, test, run, domain) left join tt using (model, test, run)""")
+def model_tests(spark, sf):
+    """SIMULATED models, each twice on set B with set A's examples and twice the other way: precision, recall, F1 per domain on valid answers, and the total."""
+    per, totals, k = _tests(spark, sf)
+    by = ["model", "test", "run"]
+    grid = k.select("*", F.explode(F.array(*[F.lit(d) for d in C.TX1])).alias("domain"))
+    out = grid.join(per, [*by, "domain"], "left").join(totals, by, "left")
+    return out.select(
+        *by, "domain", F.coalesce("items", F.lit(0)).alias("items"), *[F.round(c, 6).alias(c) for c in ("p", "r", "f1")], F.round("total", 6).alias("total_f1"), "n", "valid",
+        F.expr("made_up / n > 0.5 or valid / n < 0.5").alias("discarded"),
+    )
+
+
+@query(f"with {TESTS} select model, test, count(*) runs, round(avg(total), 6) mean, round(max(total) - min(total), 6) spread, round(stddev_samp(total), 6) sd from tt group by 1, 2")
 def metrics_variability(spark, sf):
-    _, scores = _compared(spark, sf)
-    return M.variability(M.total_f1(scores, ["model", "run"]), ["model"])
+    return M.variability(_tests(spark, sf)[1].withColumnRenamed("total", "total_f1"), ["model", "test"])
+
+
+_SCORED = SCORES.replace("doc_id, lang, text", "doc_id, text").replace("from documents", "from i_condensed")
+
+
+@query(f"""with recursive {GOLD}, {RUN.replace(GOLD + ',', '')}, {_SCORED}, al as (select t.fold, g.* from turns t join gold g using (doc_id)), pl as (select t.fold, p.doc_id, p.domain, p.label from turns t join picked p using (doc_id)),
+c as (select fold, doc_id, domain, count(a) na, count(b) nb, count(*) filter (where a is not null and b is not null) nx from (select fold, doc_id, domain, al.label a, pl.label b from al full join pl using (fold, doc_id, domain, label)) group by 1, 2, 3),
+calls as (select fold, count(*) calls, sum(chars)::bigint chars, max(prompts) longest_talk, count(doc_id) items from (select *, count(*) over (partition by fold, conv) prompts from turns) group by 1)
+select fold, domain, any_value(items) items, any_value(calls) calls, any_value(chars) chars, any_value(longest_talk) longest_talk, any_value(items) valid, round(avg(case when na + nb = 0 then 1 when nb = 0 then 0 else nx / nb end), 6) p,
+round(avg(case when na + nb = 0 then 1 when na = 0 then 0 else nx / na end), 6) r, round(avg(case when na + nb = 0 then 1 else 2 * nx / (na + nb) end), 6) f1 from c join calls using (fold) group by 1, 2""")
+def classification_run(spark, sf):
+    """From sets to measures: prompts of both folds, the experts' answers as JSON, parsed, repaired, checked, and measured per domain."""
+    run = staged(_run(spark, sf), "run")
+    calls = run.groupBy("fold").agg(F.count("*").alias("calls"), F.sum("chars").alias("chars"), F.max("prompts").alias("longest_talk"), F.count("doc_id").alias("items"))
+    answers = run.where("kind = 'item'").select(F.lit("experts").alias("model"), F.col("fold").alias("run"), "doc_id", "raw")
+    good = staged(A.check_validity(A.repair(A.parse_answers(answers))).where("reason in ('none', 'incomplete', 'foreign label')"), "run-valid")
+    gold = good.select("model", "run", "doc_id").join(_gold(spark, sf), "doc_id")
+    scores = M.item_scores(gold, A.answer_labels(good), gold.select("model", "run", "doc_id", "domain").distinct(), ["model", "run", "doc_id"])
+    per = scores.groupBy(F.col("run").alias("fold"), "domain").agg(*[F.round(F.avg(c), 6).alias(c) for c in ("p", "r", "f1")])
+    valid = good.groupBy(F.col("run").alias("fold")).agg(F.count("*").alias("valid"))
+    return per.join(calls, "fold").join(valid, "fold").select("fold", "domain", "items", "calls", "chars", "longest_talk", "valid", "p", "r", "f1")
 
 
 @query(f"with {GOLD}, {SCORES}, pl as (select p.* from picked p join lab using (doc_id)) select doc_id, '{{' || string_agg(part, ',' order by k) || '}}' raw from (select doc_id, d.k, '\"' || d.domain || '\":' || (case when count(p.label) = 0 then '[]' else '[\"' || string_agg(p.label, '\",\"' order by p.label) || '\"]' end) part from (select distinct doc_id from pl) cross join (values (1, 'origin'), (2, 'condition'), (3, 'conduct')) d(k, domain) left join pl p using (doc_id, domain) group by 1, d.k, d.domain) group by 1")

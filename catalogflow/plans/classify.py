@@ -8,7 +8,7 @@ from catalogflow.functions.text import sql_tokens, tokens
 from catalogflow.operators import classify as C
 from catalogflow.operators import metrics as M
 from catalogflow.operators.metadata import VOTES
-from catalogflow.plans.extraction import CAT
+from catalogflow.plans.extraction import CAT, NAME, REST
 from catalogflow.plans.metadata import votes_sql
 from catalogflow.plans.registry import load, query
 
@@ -139,13 +139,19 @@ def swap_plan(spark, sf):
 _LONG = "len(list_filter(list_filter(string_split_regex(lower({0}), '[^a-zà-ÿß]+'), lambda t: t <> ''), lambda t: length(t) > 4))"
 
 
-@query(f"""with recursive d as (select row_number() over () k, doc_id, text from documents), s as (select k, unnest(string_split(text, '.')) s, unnest(range(1, len(string_split(text, '.')) + 1)) i from d where length(text) > {C.BUDGET}),
-r as (select k, s, i, row_number() over (partition by k order by {_LONG.format('s')} desc, i) r from s where trim(s) <> ''),
-walk as (select k, r, i, s, length(s) + 1 <= {C.BUDGET} took, case when length(s) + 1 <= {C.BUDGET} then length(s) + 1 else 0 end used from r where r = 1 union all
-select n.k, n.r, n.i, n.s, used + length(n.s) + 1 <= {C.BUDGET}, case when used + length(n.s) + 1 <= {C.BUDGET} then used + length(n.s) + 1 else used end from walk w join r n on n.k = w.k and n.r = w.r + 1),
-whole as (select k, string_agg(s, '.' order by i) filter (where took) text, max(case when r = 1 then trim(s) end) best from walk group by 1),
-fit as (select k, coalesce(text, case when length(best) <= {C.BUDGET} then best when regexp_extract(substr(best, 1, {C.BUDGET + 1}), '(?s)^(.*)\\s', 1) <> '' then regexp_extract(substr(best, 1, {C.BUDGET + 1}), '(?s)^(.*)\\s', 1) else substr(best, 1, {C.BUDGET}) end) text, text is null cut from whole)
-select doc_id, length(x) chars, md5(x) digest, cut from (select doc_id, case when coalesce(length(d.text), 0) <= {C.BUDGET} then d.text else coalesce(f.text, '') end x, coalesce(cut, false) cut from d left join fit f using (k))""")
+def condensed_sql(budget: int, source: str = "documents", p: str = "") -> str:
+    """CTEs up to {p}condensed (doc_id, text, cut); needs 'with recursive'."""
+    word = f"regexp_extract(substr(best, 1, {budget + 1}), '(?s)^(.*)\\s', 1)"
+    return f"""{p}d as (select row_number() over () k, doc_id, text from {source}), {p}s as (select k, unnest(string_split(text, '.')) s, unnest(range(1, len(string_split(text, '.')) + 1)) i from {p}d where length(text) > {budget}),
+{p}r as (select k, s, i, row_number() over (partition by k order by {_LONG.format('s')} desc, i) r from {p}s where trim(s) <> ''),
+{p}walk as (select k, r, i, s, length(s) + 1 <= {budget} took, case when length(s) + 1 <= {budget} then length(s) + 1 else 0 end used from {p}r where r = 1 union all
+select n.k, n.r, n.i, n.s, used + length(n.s) + 1 <= {budget}, case when used + length(n.s) + 1 <= {budget} then used + length(n.s) + 1 else used end from {p}walk w join {p}r n on n.k = w.k and n.r = w.r + 1),
+{p}whole as (select k, string_agg(s, '.' order by i) filter (where took) text, max(case when r = 1 then trim(s) end) best from {p}walk group by 1),
+{p}fit as (select k, coalesce(text, case when length(best) <= {budget} then best when {word} <> '' then {word} else substr(best, 1, {budget}) end) text, text is null cut from {p}whole),
+{p}condensed as (select doc_id, case when coalesce(length(d.text), 0) <= {budget} then d.text else coalesce(f.text, '') end text, coalesce(cut, false) cut from {p}d d left join {p}fit f using (k))"""
+
+
+@query(f"with recursive {condensed_sql(C.BUDGET)} select doc_id, length(text) chars, md5(text) digest, cut from condensed")
 def condense_text(spark, sf):
     """Every document comes back, the long ones condensed to the budget."""
     return C.condense(_docs(spark, sf), C.BUDGET).select("doc_id", F.length("text").cast("bigint").alias("chars"), F.md5("text").alias("digest"), "cut")
@@ -159,9 +165,27 @@ def taxonomy_prompt(spark, sf):
     return C.taxonomy_prompt(spark, C.TX1, 1).select("version", F.md5("prompt").alias("digest"), F.length("prompt").cast("bigint").alias("chars"))
 
 
-_WHY = "case x " + " ".join(f"when '{k}' then '{v}'" for k, v in C.DEFINITIONS.items()) + " end"
-SHOTS = f"""labs as (select doc_id, list(label order by label) l from gold group by 1),
-shots as (select doc_id, '== SHOT ==\n' || text || '\nlabels: ' || array_to_string(l, ' | ') || '\nreason: ' || array_to_string(list_transform(l, lambda x: 'It is ' || x || ' because the text is ' || {_WHY} || '.'), ' ') || '\n(for context only)' prompt from documents join labs using (doc_id))"""
+_WHY = "case label " + " ".join(f"when '{k}' then '{v}'" for k, v in C.DEFINITIONS.items()) + " end"
+_JSON_ITEM = f"to_json({{'name': {NAME}, 'description': {REST}}})::varchar"
+
+
+def shots_sql(source: str = "documents", p: str = "") -> str:
+    """CTEs up to {p}shots (doc_id, prompt), from GOLD."""
+    return f"""{_reasons_sql(source, p)},
+{p}labs as (select g.doc_id, list(label order by label) l, string_agg('It is ' || label || ' because the text is ' || {_WHY} || ': ' || coalesce(reason, 'no evidence') || '.', ' ' order by label) w from gold g left join {p}why using (doc_id, domain, label) group by 1),
+{p}shots as (select doc_id, '== SHOT ==\n' || {_JSON_ITEM} || '\n' || to_json({{'labels': l, 'reason': w}})::varchar || '\n(for context only)' prompt from {source} join {p}labs using (doc_id))"""
+
+
+def _reasons_sql(source: str, p: str) -> str:
+    origin = " union all ".join(f"select doc_id, 'origin' domain, '{C.ORIGIN_OF[x]}' as label, v_{x} || ' of ' || all_v || ' frequent words' reason from {p}ft" for x in VOTES)
+    rest = " union all ".join(f"select doc_id, 'condition', '{x}', floor(sym * 1000)::bigint || ' symbols in a thousand' from {p}ft" for x in ("noisy", "clean"))
+    last = " union all ".join(f"select doc_id, 'conduct', '{x}', insults || ' insults' from {p}ft" for x in ("abusive", "civil"))
+    return f"""{p}vt as ({votes_sql('doc_id, text').replace('documents', source)}), {p}ft as (select *, {_V} all_v, len(list_filter({sql_tokens()}, lambda t: t in ({_ABUSE}))) insults,
+length(regexp_replace(text, '[A-Za-zÀ-ÿ \n.,]', '', 'g')) / greatest(length(text), 1)::double sym from {p}vt),
+{p}why as ({origin} union all {rest} union all {last})"""
+
+
+SHOTS = shots_sql()
 
 
 @query(f"with {GOLD}, {SHOTS} select doc_id, length(prompt) chars, md5(prompt) digest from shots")
@@ -197,13 +221,34 @@ def prompt_budget_sweep(spark, sf):
     return out
 
 
-@query(f"""with {SETS}, n as (select dataset, count(*) n from sets group by 1), x as (select dataset, n, (n + 5) // 6 convs from n), y as (select dataset, n, convs, unnest(range(1, n + 1)) i from x)
-select dataset, ((i - 1) * convs // n)::int conv, count(*) items, count(*) + 4 prompts from y group by 1, 2""")
+_ASKED = "Score every label of your domain from 1 to 5; give those of 4 and more, or the highest. Answer with one JSON object, a list of labels for each domain."
+RUN = f"""{SETS}, plan as (select fold, case when (dataset = 'A') = (fold = 1) then 'train' else 'test' end as role, doc_id, pos from sets, (values (1), (2)) f(fold)),
+own as (select doc_id, text from documents where doc_id in (select doc_id from sets)), {condensed_sql(1000, 'own', 's_')}, {condensed_sql(C.BUDGET, 'own', 'i_')}, {shots_sql('s_condensed', 's_')},
+n as (select fold grp, pos::bigint ord, length(prompt) chars, row_number() over (partition by fold order by pos) i from plan join s_shots using (doc_id) where role = 'train'),
+pack as (select grp, ord, chars, i, 1 prompt_no, chars used from n where i = 1 union all
+select n.grp, n.ord, n.chars, n.i, case when p.used + n.chars <= {C.BUDGET} then p.prompt_no else p.prompt_no + 1 end, case when p.used + n.chars <= {C.BUDGET} then p.used + n.chars else n.chars end from pack p join n on n.grp = p.grp and n.i = p.i + 1),
+packed as (select grp fold, prompt_no, sum(chars)::bigint chars from pack group by 1, 2), sizes as (select fold, max(prompt_no) shots from packed group by 1),
+item as (select fold, doc_id, length('== ITEM ==\n' || {_JSON_ITEM} || '\n{_ASKED}') chars, row_number() over (partition by fold order by pos, doc_id) i, count(*) over (partition by fold) n from plan join i_condensed using (doc_id) where role = 'test'),
+placed as (select *, ((i - 1) * ceil(n / greatest(1, 9 - shots))::bigint // n)::int conv from item join sizes using (fold)),
+talks as (select distinct fold, conv from placed),
+turns as (select fold, conv, 1 turn, 'taxonomy' kind, null::bigint doc_id, length('Taxonomy, version 1.\n{_TEXT}') chars from talks union all select fold, conv, prompt_no + 1, 'shots', null, chars from talks join packed using (fold)
+union all select fold, conv, row_number() over (partition by fold, conv order by i) + shots + 1, 'item', doc_id, chars from placed)"""
+
+
+def _expert_answers(docs):
+    from catalogflow.operators.answers import answer_json
+
+    return answer_json(C.select_labels(C.expert_scores(docs)))
+
+
+def _run(spark, sf):
+    return C.run_classification(_docs(spark, sf), _gold(spark, sf), _sets(spark, sf), _expert_answers)
+
+
+@query(f"with recursive {GOLD}, {RUN.replace(GOLD + ',', '')} select fold, conv, turn::int turn, kind, doc_id, chars, count(*) over (partition by fold, conv) prompts from turns")
 def conversation_plan(spark, sf):
-    """Three shot prompts and the taxonomy leave room for six items in a talk of ten prompts."""
-    n = _sets(spark, sf).groupBy("dataset").agg(F.count("*").alias("n")).withColumn("convs", F.expr("cast(ceil(n / 6) as bigint)"))
-    y = n.select("dataset", "n", "convs", F.explode(F.sequence(F.lit(1).cast("bigint"), "n")).alias("i"))
-    return y.groupBy("dataset", F.expr("cast((i - 1) * convs div n as int)").alias("conv")).agg(F.count("*").alias("items")).withColumn("prompts", F.col("items") + 4)
+    """Every prompt of every conversation: taxonomy, packed shots, items; ten at most."""
+    return _run(spark, sf).select("fold", "conv", "turn", "kind", "doc_id", "chars", "prompts")
 
 
 _LK = f"""tc as (select conv_id, turn, role, {sql_tokens()} w from conversations), sc as (select conv_id, turn, role, list_distinct(list_transform(range(1, greatest(len(w) - 1, 1)), lambda i: array_to_string(w[i:i + 2], ' '))) sh from tc),

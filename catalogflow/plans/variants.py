@@ -11,7 +11,6 @@ from catalogflow.operators import metrics as M
 from catalogflow.operators import probe as P
 from catalogflow.plans.classify import GOLD, SCORES, SETS, SHOTS, _base, _docs, _gold, _labelled, _sets, _shots, measured
 from catalogflow.plans.extraction import CAT, CONTACTS, NAME, REST
-from catalogflow.plans.probe import GRID, SEED, _trials
 from catalogflow.plans.registry import load, query
 
 
@@ -25,16 +24,6 @@ def extraction_items(spark, sf):
     return items.withColumn("description", F.md5("description")).withColumns({k: F.coalesce(F.array_join(k, "|"), F.lit("")) for k in ("email", "ip", "phone", "url")})
 
 
-@query(f"""with {GRID}, pos as (select t.*, p.position, {sql_hash60(f"'{SEED}' || p.position || t.test || '/' || t.level || '/' || t.attempt")} % 1000 x, p.rate from trials t, (values ('start', 780), ('middle', 740), ('end', 850)) p(position, rate))
-select position, count(*) n, count(*) filter (where x < rate) conform from pos group by 1""")
-def needle_conformance_position(spark, sf):
-    """Where the demand for JSON stands in the prompt; SIMULATED rates, the last being the published one."""
-    places = F.explode(F.array(*[F.struct(F.lit(p).alias("position"), F.lit(r).alias("rate")) for p, r in (("start", 780), ("middle", 740), ("end", 850))])).alias("p")
-    t = _trials(spark).select("test", "level", "attempt", places).select("test", "level", "attempt", "p.*")
-    key = f"concat('{SEED}', position, cast(test as string), '/', cast(level as string), '/', cast(attempt as string))"
-    return t.withColumn("x", P.hash60(key) % 1000).groupBy("position").agg(F.count("*").alias("n"), F.count_if(F.col("x") < F.col("rate")).alias("conform"))
-
-
 @query(f"with {GOLD}, {SHOTS} select count(*) calls, sum(length(prompt))::bigint chars, max(length(prompt)) longest from shots")
 def call_budget(spark, sf):
     return M.call_budget(_shots(spark, sf))

@@ -108,7 +108,8 @@ def test_ladder_ends_as_told(spark, limit, ceiling, wins, losses):
 
 
 def test_ladder_equals_the_loop(spark):
-    answers = P.simulated_finder(P.place_needle(P.ladder_grid(spark), "x"), "x")
+    trials = P.place_needle(P.ladder_grid(spark), "x").withColumn("needle", F.lit("a b"))
+    answers = P.grade_needle(P.simulated_finder(trials, "x"))
     ok = {(r["test"], r["level"], r["attempt"]): r["correct"] for r in answers.collect()}
     want = {(t, *x) for t in range(1, 5) for x in P.run_ladder_sequential(t, lambda t, lv, a: ok[(t, lv, a)])}
     assert set(rows(P.run_ladder(answers).select("test", "level", "attempt", "correct"))) == want
@@ -120,10 +121,10 @@ def test_response_identity():
 
 def test_needle_is_planted_whole_and_graded(spark, sf):
     trials = P.place_needle(P.ladder_grid(spark, tests=1, patience=1, ceiling=11_000), "s")
-    got = P.plant(trials, P.haystacks(table(spark, sf, "documents"), 1, "s", "en"), "Foreign needle.").collect()
+    got = P.plant(trials, P.haystacks(table(spark, sf, "documents"), 1, "s", "en", 11_000), "Foreign needle").collect()
     assert got and all("Foreign needle." in r["text"] and len(r["text"]) == r["level"] + 16 for r in got)
-    graded = P.grade_needle(spark.createDataFrame([('{"needle": "a b"}', "a b"), ("no json", "a b"), ('{"needle": "NONE"}', "a b")], "raw string, needle string"))
-    assert [(r["json_ok"], r["correct"]) for r in graded.collect()] == [(True, True), (False, False), (True, False)]
+    graded = P.grade_needle(spark.createDataFrame([('{"needle": "a b"}', "a b"), ("no json", "a b"), ('{"needle": "NONE"}', "a b"), ("bare a b", "a b"), (None, "a b")], "raw string, needle string"))
+    assert [(r["json_ok"], r["correct"]) for r in graded.collect()] == [(True, True), (False, False), (True, False), (False, True), (False, False)]
 
 
 # labelling
