@@ -34,13 +34,22 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
+def run_hash(hashes: Column, start: Column, k: int) -> Column:
+    """The hash of ``k`` words from ``start`` (from 0) on, of an array of the words' own hashes."""
+    return F.xxhash64(*[F.get(hashes, start + j) for j in range(k)])
+
+
+def word_hashes(words: Column) -> Column:
+    return F.transform(words, lambda w: F.xxhash64(w))
+
+
 def shingles(words: Column, k: int = 5) -> Column:
-    """Distinct runs of k words as 64-bit hashes; none for shorter texts."""
-    def runs(w: Column) -> Column:
-        spots = F.when(F.size(w) >= k, F.sequence(F.lit(1), F.size(w) - (k - 1))).otherwise(F.array().cast("array<int>"))
-        return F.array_distinct(F.transform(spots, lambda i: F.xxhash64(F.slice(w, i, k))))
+    """Distinct runs of k words as 64-bit hashes; none for shorter texts. Each word is hashed once."""
+    def runs(h: Column) -> Column:
+        spots = F.when(F.size(h) >= k, F.sequence(F.lit(0), F.size(h) - k)).otherwise(F.array().cast("array<int>"))
+        return F.array_distinct(F.transform(spots, lambda i: run_hash(h, i, k)))
 
-    return let(words, runs)
+    return let(word_hashes(words), runs)
 
 
 def normalize_name(name: str | Column) -> Column:

@@ -6,6 +6,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from catalogflow.functions.text import normalize_name, shingles, tokens
+from catalogflow.operators.extract import text_elements, with_catalog
+from catalogflow.operators.graph import connected_groups
+from catalogflow.session import staged
 
 #: (concept, catalogue, type); LARGE is associated nowhere, concept 3 lacks catalogue 1.
 ASSOCIATIONS = [
@@ -147,25 +150,40 @@ def shingle_rows(docs: DataFrame, k: int = 5) -> DataFrame:
     return docs.select("doc_id", shingles(tokens(), k).alias("sh")).select("doc_id", F.size("sh").alias("n"), F.explode("sh").alias("s"))
 
 
+def ranked_shingles(docs: DataFrame, k: int = 5) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n, sh): hashed shingles from rare to common, of one document for each text that has any; (rep, doc_id): who has its text.
+
+    Both are written: texts are read once, and copies of a text cost one row each, whatever their number.
+    """
+    rows = docs.select("doc_id", F.md5("text").alias("digest"), shingles(tokens(), k).alias("sh")).where(F.size("sh") > 0)
+    one = staged(rows.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.any_value("sh").alias("sh")), "shingles")
+    every = docs.select("doc_id", F.md5("text").alias("digest")).join(one.select("digest", F.col("doc_id").alias("rep")), "digest")
+    each = one.select("doc_id", F.size("sh").alias("n"), F.explode("sh").alias("s"))
+    df = each.groupBy("s").agg(F.count("*").alias("df"))
+    ranked = each.join(df, "s").groupBy("doc_id", "n").agg(F.transform(F.array_sort(F.collect_list(F.struct("df", "s"))), lambda x: x["s"]).alias("sh"))
+    return staged(ranked, "ranked"), staged(every.select("rep", "doc_id"), "copies")
+
+
 def near_text_pairs(docs: DataFrame, threshold: float = 0.7, k: int = 5) -> DataFrame:
     """(a, b, jaccard) of all pairs whose shingle Jaccard reaches the threshold: exact, by prefix filtering.
 
     Shingles are ordered from rare to common; two sets that reach the threshold share one among the first n - ceil(t n) + 1, so only
-    those are joined, and candidates are verified on the full lists.
+    those are joined, with their place and the set's size: what can still be common behind both places must suffice. Candidates are
+    verified on the full lists; copies of a text are compared once and put in at the end.
     """
-    rows = shingle_rows(docs, k)
-    df = rows.groupBy("s").agg(F.count("*").alias("df"))
-    ranked = rows.join(df, "s").groupBy("doc_id", "n").agg(F.transform(F.array_sort(F.collect_list(F.struct("df", "s"))), lambda x: x["s"]).alias("sh"))
+    ranked, copies = ranked_shingles(docs, k)
     prefix = F.slice("sh", F.lit(1), F.col("n") - F.ceil(F.col("n") * threshold).cast("int") + 1)
-    heads = ranked.select("doc_id", "n", F.explode(prefix).alias("s"))
-    fit = "a < b and least(na, nb) >= {t} * greatest(na, nb)".format(t=threshold)
-    near = (
-        heads.select(F.col("doc_id").alias("a"), F.col("n").alias("na"), "s").join(heads.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"), "s"), "s")
-        .where(fit).select("a", "b").distinct()
-    )
+    heads = staged(ranked.select("doc_id", "n", F.posexplode(prefix).alias("i", "s")), "heads")
+    side = lambda x: heads.select(F.col("doc_id").alias(x), F.col("n").alias(f"n{x}"), F.col("i").alias(f"i{x}"), "s")
+    # nothing before the first shingle in common is common, so there the rest bounds the overlap; a pair that fails at a later one was kept there
+    fit = f"a < b and least(na, nb) >= {threshold} * greatest(na, nb) and 1 + least(na - ia - 1, nb - ib - 1) >= ceil({threshold / (1 + threshold):.12f} * (na + nb) - 0.000001)"
+    near = side("a").join(side("b"), "s").where(fit).select("a", "b").distinct()
     full = near.join(ranked.select(F.col("doc_id").alias("a"), F.col("sh").alias("sa")), "a").join(ranked.select(F.col("doc_id").alias("b"), F.col("sh").alias("sb")), "b")
     both = F.size(F.array_intersect("sa", "sb"))
-    return full.withColumn("jaccard", F.round(both / (F.size("sa") + F.size("sb") - both), 6)).where(F.col("jaccard") >= threshold).select("a", "b", "jaccard")
+    found = full.withColumn("jaccard", F.round(both / (F.size("sa") + F.size("sb") - both), 6)).where(F.col("jaccard") >= threshold).select("a", "b", "jaccard")
+    found = found.union(copies.select(F.col("rep").alias("a"), F.col("rep").alias("b"), F.lit(1.0)).distinct())
+    x = found.join(copies.select(F.col("rep").alias("a"), F.col("doc_id").alias("x")), "a").join(copies.select(F.col("rep").alias("b"), F.col("doc_id").alias("y")), "b")
+    return x.where("a <> b or x < y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "jaccard")
 
 
 def contained_pairs(docs: DataFrame, least: float = 0.8, k: int = 5) -> DataFrame:
@@ -173,14 +191,78 @@ def contained_pairs(docs: DataFrame, least: float = 0.8, k: int = 5) -> DataFram
 
     Prefix filter as above, with the part's list alone deciding how long its prefix is.
     """
-    rows = shingle_rows(docs, k)
-    df = rows.groupBy("s").agg(F.count("*").alias("df"))
-    ranked = rows.join(df, "s").groupBy("doc_id", "n").agg(F.transform(F.array_sort(F.collect_list(F.struct("df", "s"))), lambda x: x["s"]).alias("sh"))
+    ranked, copies = ranked_shingles(docs, k)
     prefix = F.slice("sh", F.lit(1), F.col("n") - F.ceil(F.col("n") * least).cast("int") + 1)
     heads = ranked.select(F.col("doc_id").alias("part"), F.col("n").alias("np"), F.explode(prefix).alias("s"))
-    near = heads.join(rows.select(F.col("doc_id").alias("whole"), F.col("n").alias("nw"), "s"), "s").where("part <> whole and nw >= np").select("part", "whole").distinct()
+    near = heads.join(ranked.select(F.col("doc_id").alias("whole"), F.col("n").alias("nw"), F.explode("sh").alias("s")), "s").where("part <> whole and nw >= np").select("part", "whole").distinct()
     full = near.join(ranked.select(F.col("doc_id").alias("part"), F.col("sh").alias("sp")), "part").join(ranked.select(F.col("doc_id").alias("whole"), F.col("sh").alias("sw")), "whole")
-    return full.withColumn("share", F.round(F.size(F.array_intersect("sp", "sw")) / F.size("sp"), 6)).where(F.col("share") >= least).select("part", "whole", "share")
+    found = full.withColumn("share", F.round(F.size(F.array_intersect("sp", "sw")) / F.size("sp"), 6)).where(F.col("share") >= least).select("part", "whole", "share")
+    found = found.union(copies.select(F.col("rep").alias("part"), F.col("rep").alias("whole"), F.lit(1.0)).distinct())
+    x = found.join(copies.select(F.col("rep").alias("part"), F.col("doc_id").alias("x")), "part").join(copies.select(F.col("rep").alias("whole"), F.col("doc_id").alias("y")), "whole")
+    return x.where("x <> y").select(F.col("x").alias("part"), F.col("y").alias("whole"), "share")
+
+
+#: Languages stand for the types of text items; Spanish has no counterpart in catalogue 1 and falls back to what is free there.
+TEXT_ASSOCIATIONS = [(c, k, t) for c, t in enumerate(("en", "de", "fr", "es"), 1) for k in range(5) if (t, k) != ("es", 1)]
+
+
+def text_items(docs: DataFrame) -> DataFrame:
+    """(doc_id, catalog_id, edition, name, type, text) of documents taken as items; their type is the language."""
+    d = text_elements(with_catalog(docs))
+    return d.select("doc_id", "catalog_id", "edition", normalize_name("name").alias("name"), F.col("lang").alias("type"), "text")
+
+
+def judge_descriptions(items: DataFrame, same: float = 0.7, within: float = 0.8) -> DataFrame:
+    """(a, b, verdict, score, reason) of items of two catalogues, a < b or part a and whole b; pairs not given are 'different'.
+
+    'same': as much of both texts is common; 'composite': b bundles a and at least one more item of other catalogues, of which it
+    holds that share each. Exact for all pairs, by prefix filters, so that blocks of types only have to drop pairs.
+    """
+    cat = lambda x: items.select(F.col("doc_id").alias(x), F.col("catalog_id").alias(f"cat_{x}"))
+    across = lambda p: p.join(cat("a"), "a").join(cat("b"), "b").where("cat_a <> cat_b").drop("cat_a", "cat_b")
+    alike = staged(across(near_text_pairs(items, same)), "judged-same")
+    held = across(contained_pairs(items, within).withColumnsRenamed({"part": "a", "whole": "b", "share": "score"}))
+    both = alike.select(F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b")))).alias("x")).select("x.*")
+    held = staged(held.join(both, ["a", "b"], "left_anti"), "judged-held")
+    whole = held.groupBy("b").agg(F.count("*").alias("parts")).where("parts >= 2")
+    percent = lambda c: F.floor(F.col(c) * 100).cast("string")
+    first = alike.select("a", "b", F.lit("same").alias("verdict"), F.col("jaccard").alias("score"), F.concat(percent("jaccard"), F.lit(" % of the words of both are common")).alias("reason"))
+    return first.union(held.join(whole, "b").select("a", "b", F.lit("composite"), "score", F.concat(F.lit("one of "), F.col("parts").cast("string"), F.lit(" items held, to "), percent("score"), F.lit(" %"))))
+
+
+def text_cascade(items: DataFrame, assoc: DataFrame, fallback: bool = True, composites: bool = True, judged: DataFrame | None = None) -> DataFrame:
+    """(a, b, stage): pairs of items of two catalogues by name and type; then what the judge says of pairs that blocks of types allow.
+
+    Items matched by name don't go on. Of composites b is the whole. All of them are found before anything is removed.
+    """
+    named = match_by_name(items.select(F.col("doc_id").alias("id"), "catalog_id", "name", "type").where("name <> ''"), on=("name", "type")).select("a", "b")
+    named = staged(named, "text-named")
+    out = named.withColumn("stage", F.lit("name"))
+    known = named.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    rest = items.join(known, "doc_id", "left_anti").select("doc_id", "catalog_id", "type")
+    bridge = type_pairs(assoc, items.select("catalog_id", "type").where("type is not null").distinct())
+    bridge = (bridge if fallback else bridge.where("rule = 'associated'")).drop("rule").distinct()
+    side = lambda x: rest.select(F.col("doc_id").alias(x), F.col("catalog_id").alias(f"cat_{x}"), F.col("type").alias(f"type_{x}"))
+    judged = judge_descriptions(items) if judged is None else judged
+    pairs = judged.join(side("a"), "a").join(side("b"), "b").join(bridge, ["cat_a", "type_a", "cat_b", "type_b"], "left_semi")
+    # the parts that blocks leave to a whole are counted again
+    whole = pairs.where("verdict = 'composite'").groupBy("b").agg(F.count("*").alias("parts")).where("parts >= 2").select("b")
+    out = out.union(pairs.where("verdict = 'same'").select("a", "b", F.lit("same")))
+    return out.union(pairs.where("verdict = 'composite'").join(whole, "b", "left_semi").select("a", "b", F.lit("composite"))) if composites else out
+
+
+def removed_items(items: DataFrame, found: DataFrame) -> DataFrame:
+    """(doc_id, stage, kept_id): what goes. Of linked items that of the latest edition stays, then the smallest id; wholes go, their parts stay.
+
+    stage: name, same or composite, the first that an item goes by; kept_id is null for composites.
+    """
+    found = staged(found, "text-found")
+    groups = staged(connected_groups(found.where("stage <> 'composite'")), "text-groups")
+    best = groups.join(items.select(F.col("doc_id").alias("id"), "edition"), "id").groupBy("group_id").agg(F.max_by("id", F.struct("edition", -F.col("id"))).alias("kept_id"))
+    by = found.where("stage <> 'composite'").select(F.explode(F.array("a", "b")).alias("id"), "stage").groupBy("id").agg(F.min("stage").alias("stage"))
+    same = groups.join(best, "group_id").where("id <> kept_id").join(by, "id").select(F.col("id").alias("doc_id"), "stage", "kept_id")
+    whole = found.where("stage = 'composite'").select(F.col("b").alias("doc_id")).distinct().join(same, "doc_id", "left_anti")
+    return same.union(whole.select("doc_id", F.lit("composite"), F.lit(None).cast("bigint")))
 
 
 def resolve_composites(contained: DataFrame, least_parts: int = 2) -> DataFrame:
@@ -189,8 +271,8 @@ def resolve_composites(contained: DataFrame, least_parts: int = 2) -> DataFrame:
 
 
 def pair_quality(found: DataFrame, truth: DataFrame) -> DataFrame:
-    """One row per method: (method, pairs, hits, precision, recall); found: (method, a, b), truth: (a, b)."""
+    """One row per method: (method, pairs, hits, precision, recall, f1); found: (method, a, b), truth: (a, b)."""
     all_true = truth.agg(F.count("*").alias("all_true"))
     hit = found.join(truth.withColumn("hit", F.lit(1)), ["a", "b"], "left")
     per = hit.groupBy("method").agg(F.count("*").alias("pairs"), F.count("hit").alias("hits")).crossJoin(F.broadcast(all_true))
-    return per.select("method", "pairs", "hits", F.round(F.col("hits") / F.col("pairs"), 6).alias("precision"), F.round(F.col("hits") / F.col("all_true"), 6).alias("recall"))
+    return per.select("method", "pairs", "hits", F.round(F.col("hits") / F.col("pairs"), 6).alias("precision"), F.round(F.col("hits") / F.col("all_true"), 6).alias("recall"), F.round(2 * F.col("hits") / (F.col("pairs") + F.col("all_true")), 6).alias("f1"))

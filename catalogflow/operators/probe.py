@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from catalogflow.functions.text import hash60, let, shingles, tokens
+from catalogflow.functions.text import hash60, let, run_hash, shingles, tokens, word_hashes
 from catalogflow.operators.metadata import VOTES
 from catalogflow.session import staged
 
@@ -171,7 +171,7 @@ def find_passages(docs: DataFrame, bench: DataFrame, k: int = 5) -> DataFrame:
     Passages without k inner words are compared directly with every document, in blocks of documents and of passages.
     """
     p = bench.select("item_id", F.col("text").alias("passage"), tokens().alias("w")).where("passage <> ''")
-    p = p.select("item_id", "passage", F.when(F.size("w") >= k + 2, F.xxhash64(F.slice("w", 2, k))).alias("seed"))
+    p = p.select("item_id", "passage", F.when(F.size("w") >= k + 2, run_hash(word_hashes(F.col("w")), F.lit(1), k)).alias("seed"))
     runs = docs.select("doc_id", F.explode(shingles(tokens(), k)).alias("seed"))
     near = runs.join(p.where("seed is not null").select("item_id", "seed"), "seed").select("doc_id", "item_id").distinct()
     near = near.join(p.select("item_id", "passage"), "item_id").join(docs.select("doc_id", "text"), "doc_id")

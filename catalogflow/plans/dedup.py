@@ -8,8 +8,9 @@ from catalogflow.functions.text import sql_normalize_name, sql_tokens
 from catalogflow.operators import dedup as D
 from catalogflow.operators import extract as X
 from catalogflow.operators.graph import connected_groups
-from catalogflow.plans.extraction import NAME
+from catalogflow.plans.extraction import CAT, NAME
 from catalogflow.plans.registry import load, query
+from catalogflow.session import staged
 
 ITEMS = f"items as (select p_partkey id, (p_partkey % 4)::int catalog_id, {sql_normalize_name('p_name')} nm, p_brand producer, p_type typ from part)"
 NAMED = "named as (select a.id a, b.id b, a.catalog_id cat_a, b.catalog_id cat_b from items a join items b on a.nm = b.nm and a.producer = b.producer and a.id < b.id and a.catalog_id <> b.catalog_id)"
@@ -114,7 +115,7 @@ def dup_composites(spark, sf):
 found as (select 'exact_text' as method, x.doc_id a, y.doc_id b from d x join d y on x.k = y.k and x.doc_id < y.doc_id union all
 select 'first_sentence', x.doc_id, y.doc_id from d x join d y on x.nm = y.nm and x.nm <> '' and x.doc_id < y.doc_id union all select 'containment', a, b from common join n na on na.doc_id = a join n nb on nb.doc_id = b where round(c / least(na.n, nb.n), 6) >= 0.8),
 f as (select method, found.a, found.b, t.a is not null hit from found left join truth t on t.a = found.a and t.b = found.b)
-select method, count(*) pairs, count(*) filter (where hit) hits, round(count(*) filter (where hit) / count(*), 6) as precision, round(count(*) filter (where hit) / (select count(*) from truth), 6) recall from f group by 1""")
+select method, count(*) pairs, count(*) filter (where hit) hits, round(count(*) filter (where hit) / count(*), 6) as precision, round(count(*) filter (where hit) / (select count(*) from truth), 6) recall, round(2 * count(*) filter (where hit) / (count(*) + (select count(*) from truth)), 6) f1 from f group by 1""")
 def dup_quality(spark, sf):
     docs = load(spark, sf, "documents")
     truth = D.near_text_pairs(docs).select("a", "b")
@@ -143,3 +144,61 @@ def dup_judge_cost(spark, sf):
         one(D.blocking_stats(items, pairs), "all_pairs", "all_pairs").union(one(D.candidate_counts(items, pairs), "candidates", "blocked")).union(one(left, "candidates", "blocked_after_names"))
         .union(one(left.where("rule = 'associated'"), "candidates", "no_fallback")).union(spark.sql("select 'names_only' method, cast(0 as bigint) judged"))
     )
+
+
+_TASSOC = "assoc(concept, cat, typ) as (values " + ", ".join(f"({c}, {k}, '{t}')" for c, k, t in D.TEXT_ASSOCIATIONS) + ")"
+_BRIDGE = BRIDGE[: BRIDGE.index("bridge as")].replace(ASSOC, _TASSOC).replace("select distinct catalog_id cat, typ from items", "select distinct cat, typ from ti where typ is not null")
+TEXT_CASCADE = f"""{SHINGLES}, ti as (select doc_id, {CAT} cat, case when {CAT} = 4 then 1 else {CAT} % 2 + 1 end edition, {sql_normalize_name(NAME)} nm, lang typ from documents), {_BRIDGE}
+named as (select a.doc_id a, b.doc_id b from ti a join ti b on a.nm = b.nm and a.typ = b.typ and a.doc_id < b.doc_id and a.cat <> b.cat and a.nm <> ''),
+alike as (select a, b, jaccard from near join ti x on x.doc_id = a join ti y on y.doc_id = b where jaccard >= 0.7 and x.cat <> y.cat),
+ways as (select a, b, c from common union all select b, a, c from common),
+held as (select w.a, w.b, round(c / na.n, 6) score from ways w join n na on na.doc_id = w.a join n nb on nb.doc_id = w.b join ti x on x.doc_id = w.a join ti y on y.doc_id = w.b
+where nb.n >= na.n and round(c / na.n, 6) >= 0.8 and x.cat <> y.cat and not exists (select 1 from alike s where (s.a = w.a and s.b = w.b) or (s.a = w.b and s.b = w.a))),
+judged_text as (select a, b, 'same' verdict, jaccard score, floor(jaccard * 100)::bigint || ' % of the words of both are common' reason from alike
+union all select a, b, 'composite', score, 'one of ' || parts || ' items held, to ' || floor(score * 100)::bigint || ' %' from (select *, count(*) over (partition by b) parts from held) where parts >= 2),
+known as (select a i from named union select b from named),
+allowed as (select j.*, r.rules from judged_text j join ti x on x.doc_id = j.a join ti y on y.doc_id = j.b join (select cat_a, type_a, cat_b, type_b, bool_or(rule = 'associated') rules from both_ways group by all) r on r.cat_a = x.cat and r.type_a = x.typ and r.cat_b = y.cat and r.type_b = y.typ
+where j.a not in (select i from known) and j.b not in (select i from known)),
+found_text as (select a, b, 'name' stage from named union all select a, b, 'same' from allowed where verdict = 'same' union all select a, b, 'composite' from (select *, count(*) over (partition by b) k from allowed where verdict = 'composite') where k >= 2)"""
+
+
+@query(f"with {TEXT_CASCADE} select * from judged_text")
+def dup_judged_text(spark, sf):
+    """Verdicts same and composite on texts of two catalogues, with the reason; all other pairs are different."""
+    return D.judge_descriptions(D.text_items(load(spark, sf, "documents")))
+
+
+@query(f"""with recursive {TEXT_CASCADE}, e as (select a x, b y from found_text where stage <> 'composite' union select b, a from found_text where stage <> 'composite'),
+walk(id, reach) as (select x, x from e union select walk.id, e.y from walk join e on walk.reach = e.x), grp as (select id, min(reach) g from walk group by 1),
+best as (select g, arg_max(id, (edition, -id)) kept_id from grp join ti on ti.doc_id = id group by 1), st as (select x id, min(stage) stage from (select a x, stage from found_text where stage <> 'composite' union all select b, stage from found_text where stage <> 'composite') group by 1),
+gone as (select id doc_id, stage, kept_id from grp join best using (g) join st using (id) where id <> kept_id)
+select * from gone union all select distinct b, 'composite', null::bigint from found_text where stage = 'composite' and b not in (select doc_id from gone)""")
+def dup_cascade_text(spark, sf):
+    """The whole cascade over text items: names, judged texts within blocks of types, bundled items; what goes, by which stage, and what stays for it."""
+    items = D.text_items(load(spark, sf, "documents"))
+    return D.removed_items(items, D.text_cascade(items, D.associations(spark, D.TEXT_ASSOCIATIONS)))
+
+
+@query(f"""with {TEXT_CASCADE}, truth as (select distinct least(a, b) a, greatest(a, b) b from judged_text), m as (select 'names_only' as method, a, b from named union all select 'all_pairs', a, b from judged_text where verdict = 'same'
+union all select 'no_fallback', a, b from named union all select 'no_fallback', a, b from allowed where verdict = 'same' and rules union all select 'no_fallback', a, b from (select *, count(*) over (partition by b) k from allowed where verdict = 'composite' and rules) where k >= 2
+union all select 'no_composites', a, b from found_text where stage <> 'composite' union all select 'cascade', a, b from found_text
+union all select 'exact_text', x.doc_id, y.doc_id from documents x join documents y on md5(x.text) = md5(y.text) and x.doc_id < y.doc_id join ti p on p.doc_id = x.doc_id join ti q on q.doc_id = y.doc_id where p.cat <> q.cat),
+u as (select distinct method, least(a, b) a, greatest(a, b) b from m), f as (select method, u.a, u.b, t.a is not null hit from u left join truth t on t.a = u.a and t.b = u.b)
+select method, count(*) pairs, count(*) filter (where hit) hits, round(count(*) filter (where hit) / count(*), 6) as precision, round(count(*) filter (where hit) / (select count(*) from truth), 6) recall, round(2 * count(*) filter (where hit) / (count(*) + (select count(*) from truth)), 6) f1 from f group by 1""")
+def dup_baselines(spark, sf):
+    """Names alone, no blocks, no fallback, no composites, equal texts, and the cascade, against all that the judge would say of all pairs."""
+    items = staged(D.text_items(load(spark, sf, "documents")), "text-items")
+    judged = staged(D.judge_descriptions(items), "text-judged")
+    assoc = D.associations(spark, D.TEXT_ASSOCIATIONS)
+    whole = staged(D.text_cascade(items, assoc, judged=judged), "text-cascade")
+    keyed = items.select(F.col("doc_id").alias("id"), "catalog_id", F.md5("text").alias("digest"))
+    methods = {
+        "names_only": whole.where("stage = 'name'"), "all_pairs": judged.where("verdict = 'same'"), "no_fallback": D.text_cascade(items, assoc, fallback=False, judged=judged),
+        "no_composites": whole.where("stage <> 'composite'"), "cascade": whole, "exact_text": D.match_by_name(keyed, on=("digest",)),
+    }
+    pair = (F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    found = None
+    for name, df in methods.items():
+        part = df.select(F.lit(name).alias("method"), *pair).distinct()
+        found = part if found is None else found.union(part)
+    return D.pair_quality(found, judged.select(*pair).distinct())
