@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from catalogflow.functions.text import CATALOG, tokens
+from catalogflow.functions.text import CATALOG, TOKEN_SPLIT, hash60, tokens
 from catalogflow.operators.extract import text_elements
 from catalogflow.operators.metadata import VOTES, language_votes
 from catalogflow.session import staged
@@ -74,24 +74,38 @@ def order_scores(lineitem: DataFrame, part: DataFrame) -> DataFrame:
 
 
 def panel_votes(docs: DataFrame) -> DataFrame:
-    """(doc_id, e0, e1, e2, label, agreed): three generic experts, each with a third of the words, and their consensus or best guess."""
-    d = docs.select("doc_id", tokens().alias("tok"))
+    """(doc_id, e0, e1, e2, s0, s1, s2, label, agreed): three generic experts, each with a third of the frequent words.
+
+    Each answers with a language (none without a word) and scores the others' answers from 1 to 5 by the share of its own words that speak
+    for them; s0 to s2 sum what an answer got from its two peers. Consensus is what two of them say; else the answer with the best
+    score (ties: alphabetical).
+    """
     order = sorted(VOTES)
+    every = sorted({w for ws in VOTES.values() for w in ws.split()})
+    d = docs.select("doc_id", F.filter(F.split(F.lower("text"), TOKEN_SPLIT), lambda t: t.isin(*every)).alias("tok"))
     for e in range(3):
         for x in order:
             own = VOTES[x].split()[e::3]
             d = d.withColumn(f"p{e}_{x}", F.size(F.filter("tok", lambda t: t.isin(*own))))
-    def best(cols):
-        most = F.greatest(*[F.col(c) if isinstance(c, str) else c for _, c in cols])
+    for e in range(3):
+        most = F.greatest(*[F.col(f"p{e}_{x}") for x in order])
         out = F.when(most == 0, F.lit(None).cast("string"))
-        for x, c in cols:
-            out = out.when((F.col(c) if isinstance(c, str) else c) == most, F.lit(x))
-        return out
+        for x in order:
+            out = out.when(F.col(f"p{e}_{x}") == most, F.lit(x))
+        d = d.withColumn(f"e{e}", out).withColumn(f"t{e}", sum((F.col(f"p{e}_{x}") for x in order), F.lit(0)))
+
+    def peer(judge: int, said: int) -> Column:
+        own = F.lit(0)
+        for x in order:
+            own = F.when(F.col(f"e{said}") == x, F.col(f"p{judge}_{x}")).otherwise(own)
+        return F.when(F.col(f"t{judge}") == 0, 1).otherwise(1 + F.least(F.lit(4), F.floor(5 * own / F.col(f"t{judge}"))))
+
     for e in range(3):
-        d = d.withColumn(f"e{e}", best([(x, f"p{e}_{x}") for x in order]))
-    total = [(x, F.col(f"p0_{x}") + F.col(f"p1_{x}") + F.col(f"p2_{x}")) for x in order]
+        d = d.withColumn(f"s{e}", F.when(F.col(f"e{e}").isNull(), 0).otherwise(sum((peer(f, e) for f in range(3) if f != e), F.lit(0))).cast("int"))
     pair = F.expr("case when e0 = e1 or e0 = e2 then e0 when e1 = e2 then e1 end")
-    return d.select("doc_id", "e0", "e1", "e2", F.coalesce(pair, best(total)).alias("label"), pair.isNotNull().alias("agreed"))
+    answers = F.filter(F.array(*[F.struct((-F.col(f"s{e}")).alias("s"), F.col(f"e{e}").alias("label")) for e in range(3)]), lambda a: a["label"].isNotNull())
+    guess = F.get(F.array_sort(answers), F.lit(0))["label"]
+    return d.select("doc_id", "e0", "e1", "e2", "s0", "s1", "s2", F.coalesce(pair, guess).alias("label"), pair.isNotNull().alias("agreed"))
 
 
 def round_robin(items: DataFrame, seed: str, catalogs: int = 4) -> DataFrame:
@@ -309,3 +323,12 @@ def lexicon_labels(docs: DataFrame, lexicon: DataFrame, prior: DataFrame) -> Dat
     s = t.groupBy("doc_id", "label").agg(F.round(F.sum("weight"), 6).alias("w"))
     best = s.groupBy("doc_id").agg(F.max(F.struct("w", "label"))["label"].alias("found"))
     return docs.select("doc_id").crossJoin(F.broadcast(prior)).join(best, "doc_id", "left").select("doc_id", F.coalesce("found", "prior").alias("label"))
+
+
+def random_labels(items: DataFrame, gold: DataFrame, seed: str) -> DataFrame:
+    """(doc_id, domain, label): for each item and domain a label drawn with the gold labels' frequencies, by a hash. One row per label is broadcast."""
+    n = gold.groupBy("domain", "label").agg(F.count("*").alias("n"))
+    w = Window.partitionBy("domain").orderBy("label")
+    prior = n.withColumn("upto", F.sum("n").over(w)).withColumn("all_", F.sum("n").over(Window.partitionBy("domain")))
+    drawn = items.select("doc_id").crossJoin(F.broadcast(prior)).withColumn("u", hash60(f"concat('{seed}/', domain, '/', cast(doc_id as string))") % F.col("all_"))
+    return drawn.where("u < upto and u >= upto - n").select("doc_id", "domain", "label")

@@ -61,7 +61,7 @@ def element_matrix(spark) -> DataFrame:
 
 
 def audit_elements(docs: DataFrame) -> DataFrame:
-    """(family, element, mode, filled, missing): elements that the family offers and the text can show."""
+    """(family, element, mode, filled, missing) of all elements that the family offers; filled and missing are null where text can't show them."""
     items = text_elements(with_catalog(docs))
     has = lambda pattern: F.col("text").rlike(pattern)
     shown = {
@@ -70,7 +70,8 @@ def audit_elements(docs: DataFrame) -> DataFrame:
     }
     counts = items.groupBy("family").agg(F.count("*").alias("all"), *[F.count_if(c).alias(e) for e, c in shown.items()])
     long = counts.unpivot(["family", "all"], list(shown), "element", "filled")
-    return long.join(F.broadcast(element_matrix(docs.sparkSession)), ["element", "family"]).select("family", "element", "mode", "filled", (F.col("all") - F.col("filled")).alias("missing"))
+    # both sides are of a few rows: elements by families
+    return element_matrix(docs.sparkSession).join(long, ["element", "family"], "left").select("family", "element", "mode", "filled", (F.col("all") - F.col("filled")).alias("missing"))
 
 
 def extract_page(pages: DataFrame) -> DataFrame:

@@ -11,6 +11,35 @@ def payloads(items: DataFrame, columns: list[str], key: str = "item_id") -> Data
     return items.select(key, F.to_json(F.struct(*columns)).alias("body")).withColumn("digest", F.sha2("body", 256))
 
 
+def item_payloads(items: DataFrame, triples: DataFrame, html: DataFrame, members: DataFrame) -> DataFrame:
+    """(item_id, body, digest): metadata (each property with its values in order), layout and collection of an item as one JSON object.
+
+    items: (item_id); triples: (item_id, property, ordinal, value); html: (item_id, html); members: (item_id, collection), one at most.
+    """
+    values = triples.groupBy("item_id", "property").agg(F.transform(F.array_sort(F.collect_list(F.struct("ordinal", "value"))), lambda x: x["value"]).alias("values"))
+    meta = values.groupBy("item_id").agg(F.array_sort(F.collect_list(F.struct("property", "values"))).alias("metadata"))
+    j = items.select("item_id").join(meta, "item_id", "left").join(html, "item_id", "left").join(members, "item_id", "left")
+    return payloads(j, ["metadata", "html", "collection"])
+
+
+def search_items(items: DataFrame, labels: DataFrame | None = None, wanted: list[str] = (), region: str | None = None, catalog: int | None = None, text: str | None = None, top: int = 20) -> DataFrame:
+    """(doc_id, score) of the first ``top`` items that meet every facet given; without labels in order of id, score 0.
+
+    items: (doc_id, region, catalog_id, name, description); ``text`` must stand in the name or description, in any case of letters.
+    """
+    hit = items
+    for column, value in (("region", region), ("catalog_id", catalog)):
+        hit = hit if value is None else hit.where(F.col(column) == value)
+    if text is not None:
+        hit = hit.where(F.contains(F.lower(F.concat_ws(" ", "name", "description")), F.lit(text.lower())))
+    if wanted:
+        own = labels.where(F.col("label").isin(*wanted)).groupBy("doc_id").agg(F.countDistinct("label").alias("n"), F.sum("score").alias("score"))
+        hit = hit.join(own.where(F.col("n") == len(set(wanted))), "doc_id")
+    else:
+        hit = hit.withColumn("score", F.lit(0).cast("bigint"))
+    return hit.orderBy(F.desc("score"), "doc_id").limit(top).select("doc_id", "score")
+
+
 def plan_sync(desired: DataFrame, current: DataFrame, key: str = "item_id") -> DataFrame:
     """(item_id, op): insert, update, delete or same, by digest. One full outer join."""
     a, b = desired.select(key, F.col("digest").alias("new_")), current.select(key, F.col("digest").alias("old_"))

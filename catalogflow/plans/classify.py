@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from catalogflow.functions.text import sql_tokens, tokens
+from catalogflow.functions.text import sql_hash60, sql_tokens, tokens
 from catalogflow.operators import classify as C
 from catalogflow.operators import metrics as M
 from catalogflow.operators.metadata import VOTES
@@ -65,6 +65,15 @@ def expert_labels_domain(spark, sf):
     return C.select_labels(C.expert_scores(_docs(spark, sf)), per="domain")
 
 
+def _reasons_sql(source: str, p: str) -> str:
+    origin = " union all ".join(f"select doc_id, 'origin' domain, '{C.ORIGIN_OF[x]}' as label, v_{x} || ' of ' || all_v || ' frequent words' reason from {p}ft" for x in VOTES)
+    rest = " union all ".join(f"select doc_id, 'condition', '{x}', floor(sym * 1000)::bigint || ' symbols in a thousand' from {p}ft" for x in ("noisy", "clean"))
+    last = " union all ".join(f"select doc_id, 'conduct', '{x}', insults || ' insults' from {p}ft" for x in ("abusive", "civil"))
+    return f"""{p}vt as ({votes_sql('doc_id, text').replace('documents', source)}), {p}ft as (select *, {_V} all_v, len(list_filter({sql_tokens()}, lambda t: t in ({_ABUSE}))) insults,
+length(regexp_replace(text, '[A-Za-zÀ-ÿ \n.,]', '', 'g')) / greatest(length(text), 1)::double sym from {p}vt),
+{p}why as ({origin} union all {rest} union all {last})"""
+
+
 _TX2 = "case p_type " + " ".join(f"when '{k}' then '{v}'" for k, v in C.TX2.items()) + " end"
 ORDERS = f"""per as (select l_orderkey o, p_type as label, avg(l_quantity) q, sum(l_extendedprice::decimal(18, 2)) rev from lineitem join part on l_partkey = p_partkey group by 1, 2),
 os as (select o, {_TX2.replace('p_type', 'label')} domain, label, least(5, ceil(round(q / 10, 9)))::int score, rev * 4 >= sum(rev) over (partition by o) gold from per),
@@ -93,10 +102,12 @@ def _panel_sql() -> str:
     order = sorted(VOTES)
     cols = ", ".join(f"len(list_filter(tok, lambda t: t in ({', '.join(repr(w) for w in VOTES[x].split()[e::3])}))) p{e}_{x}" for e in range(3) for x in order)
     best = lambda f: f"case when greatest({', '.join(f(x) for x in order)}) = 0 then null " + " ".join(f"when {f(x)} = greatest({', '.join(f(y) for y in order)}) then '{x}'" for x in order) + " end"
-    es = ", ".join(best(lambda x, e=e: f"p{e}_{x}") + f" e{e}" for e in range(3))
-    total = best(lambda x: f"(p0_{x} + p1_{x} + p2_{x})")
+    es = ", ".join(best(lambda x, e=e: f"p{e}_{x}") + f" e{e}, " + " + ".join(f"p{e}_{x}" for x in order) + f" t{e}" for e in range(3))
+    peer = lambda f, e: f"(case when t{f} = 0 then 1 else 1 + least(4, 5 * (case e{e} " + " ".join(f"when '{x}' then p{f}_{x}" for x in order) + f" else 0 end) // t{f}) end)"
+    ss = ", ".join(f"(case when e{e} is null then 0 else " + " + ".join(peer(f, e) for f in range(3) if f != e) + f" end)::int s{e}" for e in range(3))
     pair = "case when e0 = e1 or e0 = e2 then e0 when e1 = e2 then e1 end"
-    return f"select doc_id, e0, e1, e2, coalesce({pair}, whole) as label, {pair} is not null agreed from (select *, {es}, {total} whole from (select doc_id, {cols} from (select doc_id, {sql_tokens()} tok from documents)))"
+    guess = "list_sort(list_filter([{'s': -s0, 'l': e0}, {'s': -s1, 'l': e1}, {'s': -s2, 'l': e2}], lambda a: a.l is not null))[1].l"
+    return f"select doc_id, e0, e1, e2, s0, s1, s2, coalesce({pair}, {guess}) as label, {pair} is not null agreed from (select *, {ss} from (select *, {es} from (select doc_id, {cols} from (select doc_id, {sql_tokens()} tok from documents))))"
 
 
 @query(_panel_sql())
@@ -104,6 +115,40 @@ def panel_labels(spark, sf):
     return C.panel_votes(_docs(spark, sf))
 
 
+_NAMED_LABEL = "case x.label " + " ".join(f"when '{k}' then '{v}'" for k, v in C.ORIGIN_OF.items()) + " end"
+
+
+@query(f"""with {GOLD}, {SCORES}, pn as ({_panel_sql()}), said as (select 'experts' labeller, doc_id, label from picked where domain = 'origin' union all select 'panel', doc_id, {_NAMED_LABEL} from pn x where x.label is not null),
+g as (select l.labeller, g.doc_id, g.label from gold g, (values ('experts'), ('panel')) l(labeller) where domain = 'origin'),
+c as (select g.labeller, g.doc_id, count(s.label) nq, count(*) filter (where s.label = g.label) nb from g left join said s using (labeller, doc_id) group by 1, 2)
+select labeller, count(*) items, round(avg(case when nq = 0 then 0 else nb / nq end), 6) p, round(avg(nb), 6) r, round(avg(2 * nb / (1 + nq)), 6) f1 from c group by 1""")
+def panel_vs_experts(spark, sf):
+    """The panel that was given up against the domain's expert, on the languages of labelled items."""
+    docs, gold = _labelled(spark, sf), _gold(spark, sf).where("domain = 'origin'")
+    named = F.create_map(*[F.lit(x) for kv in C.ORIGIN_OF.items() for x in kv])
+    panel = C.panel_votes(docs).where("label is not null").select(F.lit("panel").alias("labeller"), "doc_id", F.lit("origin").alias("domain"), named[F.col("label")].alias("label"))
+    expert = C.select_labels(C.expert_scores(docs)).where("domain = 'origin'").select(F.lit("experts").alias("labeller"), "doc_id", "domain", "label")
+    both = gold.select("*", F.explode(F.array(F.lit("panel"), F.lit("experts"))).alias("labeller"))
+    scores = M.item_scores(both, panel.union(expert), both.select("labeller", "doc_id", "domain").distinct(), ["labeller", "doc_id"])
+    return scores.groupBy("labeller").agg(F.count("*").alias("items"), *[F.round(F.avg(c), 6).alias(c) for c in ("p", "r", "f1")])
+
+
+@query(f"""with {GOLD}, n as (select domain, label, count(*) n from gold group by 1, 2), pr as (select *, sum(n) over (partition by domain order by label) upto, sum(n) over (partition by domain) total from n),
+dr as (select doc_id, domain, label from (select l.doc_id, pr.*, {sql_hash60("'s1/' || domain || '/' || l.doc_id")} % total u from lab l, pr) where u < upto and u >= upto - n)
+select d.domain, count(*) items, round(avg((d.label = g.label)::int), 6) f1 from dr d join gold g on g.doc_id = d.doc_id and g.domain = d.domain group by 1""")
+def baseline_random(spark, sf):
+    """Labels drawn with the gold labels' own frequencies: the floor."""
+    gold = _gold(spark, sf)
+    drawn = C.random_labels(_labelled(spark, sf), gold, "s1").join(gold.select("doc_id", "domain", F.col("label").alias("g")), ["doc_id", "domain"])
+    return drawn.groupBy("domain").agg(F.count("*").alias("items"), F.round(F.avg((F.col("label") == F.col("g")).cast("double")), 6).alias("f1"))
+
+
+@query(f"""with recursive {GOLD}, {SCORES}, {_reasons_sql('documents', '')} select s.doc_id, s.domain, s.label, score, reason from scores s join why w on w.doc_id = s.doc_id and w.domain = s.domain and w.label = s.label""")
+def expert_reasons(spark, sf):
+    """Every score with the expert's reason."""
+    return C.expert_scores(_docs(spark, sf), reasons=True)
+
+
 ITEMS = f"items as (select doc_id, {CAT} catalog_id from documents where {CAT} < 4 and doc_id in (select doc_id from labels))"
 SETS = f"""{ITEMS}, {GOLD}, oa as (select *, ((row_number() over (partition by catalog_id order by md5('s1' || doc_id), doc_id) - 1) * 4 + catalog_id + 1)::int pos from items),
 sa as (select * from oa where pos <= (select max(p) from (select domain, label, min(pos) p from gold join oa using (doc_id) group by 1, 2))),
@@ -176,15 +221,6 @@ def shots_sql(source: str = "documents", p: str = "") -> str:
 {p}shots as (select doc_id, '== SHOT ==\n' || {_JSON_ITEM} || '\n' || to_json({{'labels': l, 'reason': w}})::varchar || '\n(for context only)' prompt from {source} join {p}labs using (doc_id))"""
 
 
-def _reasons_sql(source: str, p: str) -> str:
-    origin = " union all ".join(f"select doc_id, 'origin' domain, '{C.ORIGIN_OF[x]}' as label, v_{x} || ' of ' || all_v || ' frequent words' reason from {p}ft" for x in VOTES)
-    rest = " union all ".join(f"select doc_id, 'condition', '{x}', floor(sym * 1000)::bigint || ' symbols in a thousand' from {p}ft" for x in ("noisy", "clean"))
-    last = " union all ".join(f"select doc_id, 'conduct', '{x}', insults || ' insults' from {p}ft" for x in ("abusive", "civil"))
-    return f"""{p}vt as ({votes_sql('doc_id, text').replace('documents', source)}), {p}ft as (select *, {_V} all_v, len(list_filter({sql_tokens()}, lambda t: t in ({_ABUSE}))) insults,
-length(regexp_replace(text, '[A-Za-zÀ-ÿ \n.,]', '', 'g')) / greatest(length(text), 1)::double sym from {p}vt),
-{p}why as ({origin} union all {rest} union all {last})"""
-
-
 SHOTS = shots_sql()
 
 

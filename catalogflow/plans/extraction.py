@@ -23,12 +23,10 @@ def catalog_registry(spark, sf):
 
 @query(f"""with d as (select {CAT} catalog_id, text, {NAME} nm, {REST} ds from documents),
 f as (select {FAMILY} family, * from d),
-c as (select family, count(*) a, count(*) filter (where nm <> '') n, count(*) filter (where ds <> '') d, count(*) filter (where regexp_matches(text, '{X.PHONE}') or regexp_matches(text, '{X.EMAIL}')) p, count(*) filter (where regexp_matches(text, '{X.LINK}')) u from f group by 1)
-select family, element, mode, filled, a - filled missing from (
-select family, a, 'name' element, 'X' mode, n filled from c where family in ('S', 'A') union all select family, a, 'description', 'X', d from c where family in ('S', 'A')
-union all select family, a, 'producer_contact', 'X', p from c where family = 'A' union all select family, a, 'producer_url', 'X', u from c where family in ('S', 'A')
-union all select family, a, 'initiative_title', 'X', n from c where family = 'P' union all select family, a, 'initiative_description', 'X', d from c where family = 'P'
-union all select family, a, 'initiative_url', 'X', u from c where family = 'P')""")
+c as (select family, count(*) a, count(*) filter (where nm <> '') n, count(*) filter (where ds <> '') d, count(*) filter (where regexp_matches(text, '{X.PHONE}') or regexp_matches(text, '{X.EMAIL}')) p, count(*) filter (where regexp_matches(text, '{X.LINK}')) u from f group by 1),
+m(element, family, mode) as (values {', '.join(f"('{e}', '{f}', '{m}')" for e, *modes in X.ELEMENTS for f, m in zip("SAP", modes) if m)}),
+k as (select family, a, unnest(['name', 'description', 'producer_contact', 'producer_url', 'initiative_title', 'initiative_description', 'initiative_url']) element, unnest([n, d, p, u, n, d, u]) filled from c)
+select m.family, m.element, mode, filled, a - filled missing from m left join k using (family, element)""")
 def element_audit(spark, sf):
     return X.audit_elements(load(spark, sf, "documents"))
 

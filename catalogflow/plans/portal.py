@@ -9,9 +9,11 @@ from catalogflow.operators import classify as C
 from catalogflow.operators import dedup as D
 from catalogflow.operators import extract as X
 from catalogflow.operators import load as L
+from catalogflow.operators import metadata as MD
 from catalogflow.operators import monitor as W
 from catalogflow.plans.classify import GOLD, SCORES
 from catalogflow.plans.dedup import CASCADE
+from catalogflow.plans.extraction import CAT, CONTACTS, NAME, REST
 from catalogflow.plans.registry import load, query
 from catalogflow.session import fresh_path, staged
 from catalogflow.streaming import traffic as S
@@ -64,6 +66,31 @@ def faceted_search(spark, sf):
     return L.search(C.select_labels(C.expert_scores(load(spark, sf, "documents"))), ["germanic, en", "noisy"])
 
 
+@query(f"""with {SCORES}, c as ({CONTACTS}), rg as (select doc_id, min(r_name) region from (select doc_id, cast(substr(value, 5, 3) as int) prefix from c where kind = 'phone') join nation on prefix % 25 = n_nationkey and prefix // 100 not in (5, 6) join region on n_regionkey = r_regionkey group by 1)
+select 'label, catalogue, text' facets, doc_id, score from (select p.doc_id, sum(score)::bigint score from picked p join documents d using (doc_id) where label = 'germanic, en' and {CAT} = 2 and contains(lower({NAME} || ' ' || {REST}), 'the') group by 1 order by 2 desc, 1 limit 20)
+union all select 'region', doc_id, 0 from (select doc_id from rg where region = 'ASIA' order by 1 limit 20)""")
+def faceted_search_wide(spark, sf):
+    """By label, catalogue and text; and by region."""
+    docs = load(spark, sf, "documents")
+    items = X.run_extraction(docs, load(spark, sf, "nation"), load(spark, sf, "region"))
+    labels = C.select_labels(C.expert_scores(docs))
+    one = L.search_items(items, labels, ["germanic, en"], catalog=2, text="The").select(F.lit("label, catalogue, text").alias("facets"), "doc_id", "score")
+    return one.union(L.search_items(items, region="ASIA").select(F.lit("region"), "doc_id", "score"))
+
+
+_ESC = "replace(replace(replace(replace({}, '&', '&amp;'), '<', '&lt;'), '>', '&gt;'), '\"', '&quot;')"
+
+
+@query(f"""with i as (select doc_id, {NAME} nm, {REST} ds, {CAT} cat from documents) select doc_id item_id, md5(to_json({{'metadata': list_filter([{{'property': 'description', 'values': [ds]}}, {{'property': 'title', 'values': [nm]}}], lambda x: x['values'][1] <> ''),
+'html': '<article><h1>' || {_ESC.format('nm')} || '</h1><p>' || {_ESC.format('ds')} || '</p></article>', 'collection': 'catalogue ' || cat}})::varchar) body from i where nm <> '' or ds <> ''""")
+def load_item_payloads(spark, sf):
+    """Metadata, layout and collection of text items as the portal gets them."""
+    d = X.text_elements(X.with_catalog(load(spark, sf, "documents"))).withColumnRenamed("doc_id", "item_id").where("name <> '' or description <> ''")
+    meta = MD.to_metadata(d.select("item_id", "name", "description"), [("title", ["name"]), ("description", ["description"])])
+    members = d.select("item_id", F.concat(F.lit("catalogue "), F.col("catalog_id").cast("string")).alias("collection"))
+    return L.item_payloads(d, meta, MD.render_html(d), members).select("item_id", F.md5("body").alias("body"))
+
+
 DAILY = "select ts::date::varchar as day, event_type, count(*) n, count(distinct user_id) users, round(sum(value), 2) as value from events group by 1, 2"
 
 
