@@ -266,8 +266,9 @@ def test_icons_seen_and_augmented(spark, sf):
     icons = table(spark, sf, "embeddings")
     got = X.classify_icons(X.icon_variants(icons), icons, ["vec_id", "level"])
     assert got.where("level = 16 and vec_id <> pred_id").count() == 0 and X.augment(icons).count() == 3 * icons.count()
-    with pytest.raises(ValueError):
-        X.classify_icons(icons, icons, ["vec_id"], limit=10)
+    few = icons.where("vec_id < 60")
+    whole, blocks = (X.classify_icons(few, icons, ["vec_id"], limit=n, skip_same=True) for n in (500_000, 10))
+    assert sorted(rows(whole)) == sorted(rows(blocks))  # a larger glossary is compared in shuffled blocks
 
 
 # plans
