@@ -80,6 +80,17 @@ def test_near_text_is_exact(spark, sf):
     assert {(a, b) for a, b, _ in rows(D.near_text_pairs(docs))} == want
 
 
+def test_texts_that_share_nothing_leave_no_rows_behind(spark):
+    """Shingles of one text only end in the first shuffle; pairs and shares are still those of whole texts."""
+    w = [f"{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(60)]
+    docs = spark.createDataFrame([(1, " ".join(w[:20])), (2, " ".join(w[:19])), (3, " ".join(w[40:])), (4, " ".join(w[:20])), (5, "too short")], "doc_id bigint, text string")
+    ranked, copies = D.shared_shingles(docs)
+    assert sorted((d, n, len(sh)) for d, n, sh in rows(ranked)) == [(1, 16, 15), (2, 15, 15)]
+    assert sorted(rows(copies)) == [(1, 1), (1, 4), (2, 2), (3, 3)]
+    assert sorted(rows(D.near_text_pairs(docs))) == [(1, 2, 0.9375), (1, 4, 1.0), (2, 4, 0.9375)]
+    assert sorted(rows(D.contained_pairs(docs))) == [(1, 4, 1.0), (2, 1, 1.0), (2, 4, 1.0), (4, 1, 1.0)]
+
+
 @given(st.lists(st.tuples(st.integers(0, 30), st.integers(0, 30)), max_size=40))
 @hyp(max_examples=3, deadline=None)
 def test_groups_equal_union_find(spark, edges):
