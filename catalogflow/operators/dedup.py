@@ -88,6 +88,14 @@ def blocking_stats(items: DataFrame, pairs: DataFrame) -> DataFrame:
 def token_overlap(a: Column, b: Column) -> tuple[Column, Column]:
     """(Jaccard, containment in the other) of two token lists."""
     both = F.size(F.array_intersect(a, b)).cast("double")
+def candidate_sums(items: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(cat_a, cat_b, n, id_sum): number of candidates and sum of their ids, from the sizes and sums of blocks, without making the pairs."""
+    size = items.groupBy("catalog_id", "type").agg(F.count("*").alias("n"), F.count("id").alias("k"), F.sum(F.col("id").cast("decimal(20,0)")).alias("t"))
+    side = lambda s: size.select(F.col("catalog_id").alias(f"cat_{s}"), F.col("type").alias(f"type_{s}"), *[F.col(c).alias(f"{c}{s}") for c in "nkt"])
+    both = F.col("ta") * F.col("kb").cast("decimal(15,0)") + F.col("tb") * F.col("ka").cast("decimal(15,0)")
+    return pairs.join(side("a"), ["cat_a", "type_a"]).join(side("b"), ["cat_b", "type_b"]).groupBy("cat_a", "cat_b").agg(F.sum(F.col("na") * F.col("nb")).alias("n"), F.sum(both).cast("bigint").alias("id_sum"))
+
+
     return both / F.size(F.array_union(a, b)), both / F.least(F.size(F.array_distinct(a)), F.size(F.array_distinct(b)))
 
 
