@@ -33,6 +33,18 @@ def match_by_name(items: DataFrame, on=("name", "producer")) -> DataFrame:
     return a.join(b, key).where("a < b and cat_a <> cat_b").select("a", "b", "cat_a", "cat_b")
 
 
+def name_links(items: DataFrame, on=("name", "producer")) -> DataFrame:
+    """(a, b): the smallest id of each key that items of two catalogues have, with each other id of the key.
+
+    Links the same items as the pairs of ``match_by_name``, as any two items of a key are linked there directly or by one of
+    another catalogue; a row per item instead of one per pair.
+    """
+    key = list(on)
+    rows = items.where("id is not null and catalog_id is not null").select("id", "catalog_id", *key)
+    first = rows.groupBy(*key).agg(F.min("id").alias("a"), F.min("catalog_id").alias("lo"), F.max("catalog_id").alias("hi")).where("lo <> hi").drop("lo", "hi")
+    return rows.join(first, key).where("id <> a").select("a", F.col("id").alias("b")).distinct()
+
+
 def type_pairs(assoc: DataFrame, types: DataFrame) -> DataFrame:
     """(cat_a, type_a, cat_b, type_b, rule): which types of another catalogue an item is compared with.
 

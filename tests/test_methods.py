@@ -42,6 +42,19 @@ def test_names_first(small_items):
     assert rows(D.match_by_name(small_items).select("a", "b")) == [(1, 2)]
 
 
+def test_links_join_the_same_items_as_pairs(spark):
+    items = spark.createDataFrame([(i, i % 3, "x", "p") for i in range(1, 41)] + [(50, 1, "y", "p"), (53, 1, "y", "p"), (60, 0, None, "p"), (61, 1, None, "p")], "id bigint, catalog_id int, name string, producer string")
+    links = D.name_links(items)
+    assert links.count() == 39 and sorted(rows(connected_groups(links))) == sorted(rows(connected_groups(D.match_by_name(items))))
+
+
+def test_candidate_sums_are_those_of_the_pairs(spark, small_items):
+    items = small_items.union(spark.createDataFrame([(8, 3, None, None, "PROMO"), (9, 0, "n", "p", None)], small_items.schema))
+    pairs = D.undirected(D.type_pairs(D.associations(spark), items.select("catalog_id", "type").distinct()))
+    want = D.candidates(items, pairs).groupBy("cat_a", "cat_b").agg(F.count("*"), F.sum(F.col("a") + F.col("b")))
+    assert sorted(rows(D.candidate_sums(items, pairs))) == sorted(rows(want))
+
+
 def test_one_to_many_and_fallback(spark, small_items):
     types = spark.createDataFrame([(c, t) for c in range(4) for t in ("ECONOMY", "PROMO", "STANDARD", "MEDIUM", "SMALL", "LARGE")], "catalog_id int, type string")
     got = set(rows(D.type_pairs(D.associations(spark), types)))
