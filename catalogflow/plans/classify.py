@@ -11,6 +11,7 @@ from catalogflow.operators.metadata import VOTES
 from catalogflow.plans.extraction import CAT, NAME, REST
 from catalogflow.plans.metadata import votes_sql
 from catalogflow.plans.registry import load, query
+from catalogflow.session import staged
 
 _ABUSE = ", ".join(f"'{w}'" for w in C.ABUSE.split())
 _V = " + ".join(f"v_{x}" for x in VOTES)
@@ -126,7 +127,9 @@ def panel_vs_experts(spark, sf):
     """The panel that was given up against the domain's expert, on the languages of labelled items."""
     docs, gold = _labelled(spark, sf), _gold(spark, sf).where("domain = 'origin'")
     named = F.create_map(*[F.lit(x) for kv in C.ORIGIN_OF.items() for x in kv])
-    panel = C.panel_votes(docs).where("label is not null").select(F.lit("panel").alias("labeller"), "doc_id", F.lit("origin").alias("domain"), named[F.col("label")].alias("label"))
+    # written first: the filter would be put before the votes, with every count in it many times over
+    votes = staged(C.panel_votes(docs).select("doc_id", "label"), "panel-votes")
+    panel = votes.where("label is not null").select(F.lit("panel").alias("labeller"), "doc_id", F.lit("origin").alias("domain"), named[F.col("label")].alias("label"))
     expert = C.select_labels(C.expert_scores(docs)).where("domain = 'origin'").select(F.lit("experts").alias("labeller"), "doc_id", "domain", "label")
     both = gold.select("*", F.explode(F.array(F.lit("panel"), F.lit("experts"))).alias("labeller"))
     scores = M.item_scores(both, panel.union(expert), both.select("labeller", "doc_id", "domain").distinct(), ["labeller", "doc_id"])
