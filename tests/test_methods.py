@@ -58,6 +58,35 @@ def test_cascade_by_links_removes_the_same_items(spark):
     assert gone[0] == gone[1] and len(gone[0]) == 9
 
 
+def test_baselines_count_what_their_sql_lists(spark, tmp_path, monkeypatch):
+    """Copies in several languages and catalogues, names in common, wholes, texts of one size that hold each other, repeated rows, nulls; no pairs by name are made."""
+    import random
+
+    import duckdb
+
+    from catalogflow.queries import ORACLES, QUERIES
+
+    rng = random.Random(5)
+    say = lambda n: " ".join("".join(rng.choices("abcdefgh", k=6)) for _ in range(n))
+    base = [f"{say(2)}. {say(30)}" for _ in range(12)]
+    texts = base * 5 + [f"{base[i]} {base[i + 1]}" for i in range(11)] * 2 + [b + " " + say(4) for b in base] * 2 + [f"{base[0].split('.')[0]}. {say(12)}" for _ in range(15)]
+    twins = [" ".join(w[:k]) + " " + say(9) for w in (say(44).split(), say(44).split()) for k in (44,) for _ in range(4)]
+    texts += twins + [t + " " + say(3) for t in twins] + ["short one", "short one", "", None, None] * 2
+    data = [(i, t, rng.choice(["en", "de", "fr", "es", "es", None]), f"src{rng.randrange(7)}") for i, t in enumerate(texts)]
+    data += [r for r in data if r[0] % 9 == 0]
+    schema = "doc_id bigint, text string, lang string, source string"
+    for folder, own in (("odd", data), ("apart", [(i, say(9), "en", f"src{i}") for i in range(4)] + [(9, "same. a", "en", "src1"), (10, "same. b", "en", "src2")])):
+        path = f"{tmp_path}/{folder}"
+        spark.createDataFrame(own, schema).write.parquet(f"{path}/documents.parquet")
+        con = duckdb.connect()
+        con.execute(f"create view documents as select * from '{path}/documents.parquet/*.parquet'")
+        want = sorted(map(repr, con.execute(ORACLES["dup_baselines"]).fetchall()))
+        with monkeypatch.context() as m:
+            m.setattr(D, "match_by_name", None)
+            got = sorted(map(repr, rows(QUERIES["dup_baselines"](spark, path))))
+        assert got == want and len(got) == (6 if folder == "odd" else 4), (got, want)
+
+
 def test_candidate_sums_are_those_of_the_pairs(spark, small_items):
     items = small_items.union(spark.createDataFrame([(8, 3, None, None, "PROMO"), (9, 0, "n", "p", None)], small_items.schema))
     pairs = D.undirected(D.type_pairs(D.associations(spark), items.select("catalog_id", "type").distinct()))
